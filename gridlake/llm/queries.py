@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridlake.llm import bin_packing, bpe_dp, exact_digest, secret_ledger
+from gridlake.llm import bin_packing, bpe_dp, exact_digest, impact_topk, quality_resampling, secret_ledger, url_filter
 from gridlake.llm.common import Scratch
 
 
@@ -20,11 +20,22 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_importance_resampling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    with Scratch(spark, "op1") as s:
+        got = quality_resampling.resample(s, table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+        return got.select("doc_id", "n_grams", "weight", "gumbel_key", "selected")
+
+
 def op2_secret_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     with Scratch(spark, "op2") as s:
         return secret_ledger.ledger_scan(s, table(spark, sf_dir, "documents"))[0]
 
 
+def op5_impact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    with Scratch(spark, "op5") as s:
+        return impact_topk.search(s, table(spark, sf_dir, "embeddings"))
+
+
 def op6_bpe_dp(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_dp.digest_documents(table(spark, sf_dir, "documents"), tokenizer())
 
@@ -41,8 +52,12 @@ def op8_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bin_packing.pack_documents(table(spark, sf_dir, "documents"), tokenizer())
 
 
+def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filter.judge(table(spark, sf_dir, "pages"))
+
+
 def queries():
-    return {f.__name__: f for f in (op2_secret_ledger, op6_bpe_dp, op7_exact_digest, op8_best_fit)}
+    return {f.__name__: f for f in (op1_importance_resampling, op2_secret_ledger, op5_impact_topk, op6_bpe_dp, op7_exact_digest, op8_best_fit, op10_url_filter)}
 
 
 def oracle_sql():
