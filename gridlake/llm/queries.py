@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridlake.llm import bin_packing, bpe_dp, exact_digest, impact_topk, quality_resampling, secret_ledger, url_filter
+from gridlake.llm import bin_packing, bpe_dp, exact_digest, impact_topk, jaccard_join, quality_resampling, secret_ledger, url_filter
 from gridlake.llm.common import Scratch
 
 
@@ -52,12 +52,17 @@ def op8_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bin_packing.pack_documents(table(spark, sf_dir, "documents"), tokenizer())
 
 
+def op9_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    with Scratch(spark, "op9") as s:
+        return jaccard_join.join_components(s, table(spark, sf_dir, "documents")).drop("rid")
+
+
 def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge(table(spark, sf_dir, "pages"))
 
 
 def queries():
-    return {f.__name__: f for f in (op1_importance_resampling, op2_secret_ledger, op5_impact_topk, op6_bpe_dp, op7_exact_digest, op8_best_fit, op10_url_filter)}
+    return {f.__name__: f for f in (op1_importance_resampling, op2_secret_ledger, op5_impact_topk, op6_bpe_dp, op7_exact_digest, op8_best_fit, op9_jaccard_join, op10_url_filter)}
 
 
 def oracle_sql():

@@ -76,7 +76,7 @@ def shingle_hashes(words: np.ndarray, bounds: np.ndarray, size: int = WORDS) ->
         out[into] = rolled[_ranges(bounds[long], count[long])]
     for i in np.flatnonzero((m > 0) & (m < size)):
         own = words[bounds[i] : bounds[i + 1]]
-        out[out_bounds[i]] = np.sum(own * _ODD[: len(own)], dtype=np.uint64) + np.uint64(len(own) * 0x632BE59BD9B4E019 & (2**64 - 1))
+        out[out_bounds[i]] = (int(np.sum(own * _ODD[: len(own)], dtype=np.uint64)) + len(own) * 0x632BE59BD9B4E019) & (2**64 - 1)
     return mixed(out), out_bounds
 
 
