@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridlake.llm import bin_packing, bpe_dp, exact_digest, impact_topk, jaccard_join, quality_resampling, secret_ledger, url_filter
+from gridlake.llm import bin_packing, bpe_dp, exact_digest, impact_topk, jaccard_join, quality_resampling, secret_ledger, substring_dedup, url_filter
 from gridlake.llm.common import Scratch
 
 
@@ -31,6 +31,11 @@ def op2_secret_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
         return secret_ledger.ledger_scan(s, table(spark, sf_dir, "documents"))[0]
 
 
+def op4_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
+    with Scratch(spark, "op4") as s:
+        return substring_dedup.dedup(s, table(spark, sf_dir, "documents")).drop("rid", "kept")
+
+
 def op5_impact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     with Scratch(spark, "op5") as s:
         return impact_topk.search(s, table(spark, sf_dir, "embeddings"))
@@ -62,7 +67,7 @@ def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries():
-    return {f.__name__: f for f in (op1_importance_resampling, op2_secret_ledger, op5_impact_topk, op6_bpe_dp, op7_exact_digest, op8_best_fit, op9_jaccard_join, op10_url_filter)}
+    return {f.__name__: f for f in (op1_importance_resampling, op2_secret_ledger, op4_suffix_array, op5_impact_topk, op6_bpe_dp, op7_exact_digest, op8_best_fit, op9_jaccard_join, op10_url_filter)}
 
 
 def oracle_sql():
