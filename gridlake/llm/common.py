@@ -24,6 +24,8 @@ from pyspark.sql import functions as F
 
 #: Upper bound of a broadcast Bloom filter, in bits (8 MB).
 BLOOM_MAX_BITS = 1 << 26
+#: A row key that earlier steps have put beside the columns of the documents.
+RID = "__gridlake_rid"
 #: Text bytes that a kernel works on at once.
 CHUNK_BYTES = 4 << 20
 
@@ -94,15 +96,28 @@ class Scratch:
         self.drop()
 
 
+def unique_ids(docs: DataFrame) -> bool:
+    return not docs.groupBy("doc_id").count().where("count > 1 OR doc_id IS NULL").limit(1).count()
+
+
+def numbered(s: Scratch, docs: DataFrame) -> DataFrame:
+    """``docs`` with all its columns and the row key that ``keyed`` would give, as RID."""
+    if unique_ids(docs):
+        return docs.withColumn(RID, F.col("doc_id").cast("long"))
+    return s.keep(docs.withColumn(RID, F.monotonically_increasing_id()), "numbered")
+
+
 def keyed(s: Scratch, docs: DataFrame) -> DataFrame:
     """``rid, doc_id, text`` of ``docs``, null texts as empty.
 
     ``rid`` is ``doc_id`` where that is unique and not null.  Otherwise the rows are
     written once with a running number, so that repeated rows stay separate documents.
     """
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    odd = docs.groupBy("doc_id").count().where("count > 1 OR doc_id IS NULL").limit(1).count()
-    if not odd:
+    given = [F.col(RID).alias("rid")] if RID in docs.columns else []
+    docs = docs.select(*given, F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    if given:
+        return docs
+    if unique_ids(docs):
         return docs.select(F.col("doc_id").alias("rid"), "doc_id", "text")
     return s.save(docs.select(F.monotonically_increasing_id().alias("rid"), "doc_id", "text"), "keyed")
 

@@ -327,7 +327,7 @@ def leader_pairs(sets: DataFrame) -> DataFrame:
 
 
 def join_components(s: Scratch, docs: DataFrame, threshold: int = THRESHOLD, least: int = FREQUENT, most: int = FREQUENT_MOST) -> DataFrame:
-    """``rid, doc_id, n_shingles, component_id`` of every document."""
+    """``rid, doc_id, n_shingles, component_id, first_rid`` of every document."""
     rows = keyed(s, docs)
     buckets = max(1, min(4096, rows.count() // 4096))
     both = s.save(summaries(rows, buckets), "summaries")
@@ -344,4 +344,4 @@ def join_components(s: Scratch, docs: DataFrame, threshold: int = THRESHOLD, lea
     comps = components(s, leaders.union(rest).union(copies.where("rid <> lead").select(F.col("lead").alias("a"), F.col("rid").alias("b"))))
     found = s.save(sets.select("rid", "doc_id", F.col("n").alias("n_shingles")).join(comps, "rid", "left"), "found")
     least_id = found.where("comp IS NOT NULL").groupBy("comp").agg(F.min("doc_id").alias("least"))
-    return s.keep(found.join(least_id, "comp", "left").select("rid", "doc_id", "n_shingles", F.coalesce("least", "doc_id").alias("component_id")))
+    return s.keep(found.join(least_id, "comp", "left").select("rid", "doc_id", "n_shingles", F.coalesce("least", "doc_id").alias("component_id"), F.coalesce("comp", "rid").alias("first_rid")))

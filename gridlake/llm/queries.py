@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridlake.llm import bin_packing, bpe_dp, exact_digest, impact_topk, jaccard_join, quality_resampling, secret_ledger, substring_dedup, url_filter
+from gridlake.llm import bin_packing, bpe_dp, exact_digest, impact_topk, jaccard_join, pii_supervision, quality_resampling, secret_ledger, substring_dedup, url_filter
 from gridlake.llm.common import Scratch
 
 
@@ -31,6 +31,11 @@ def op2_secret_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
         return secret_ledger.ledger_scan(s, table(spark, sf_dir, "documents"))[0]
 
 
+def op3_weak_supervision(spark: SparkSession, sf_dir: str) -> DataFrame:
+    with Scratch(spark, "op3") as s:
+        return pii_supervision.report(s, table(spark, sf_dir, "documents"))
+
+
 def op4_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
     with Scratch(spark, "op4") as s:
         return substring_dedup.dedup(s, table(spark, sf_dir, "documents")).drop("rid", "kept")
@@ -59,7 +64,7 @@ def op8_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     with Scratch(spark, "op9") as s:
-        return jaccard_join.join_components(s, table(spark, sf_dir, "documents")).drop("rid")
+        return jaccard_join.join_components(s, table(spark, sf_dir, "documents")).drop("rid", "first_rid")
 
 
 def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -67,7 +72,7 @@ def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries():
-    return {f.__name__: f for f in (op1_importance_resampling, op2_secret_ledger, op4_suffix_array, op5_impact_topk, op6_bpe_dp, op7_exact_digest, op8_best_fit, op9_jaccard_join, op10_url_filter)}
+    return {f.__name__: f for f in (op1_importance_resampling, op2_secret_ledger, op3_weak_supervision, op4_suffix_array, op5_impact_topk, op6_bpe_dp, op7_exact_digest, op8_best_fit, op9_jaccard_join, op10_url_filter)}
 
 
 def oracle_sql():
