@@ -38,10 +38,11 @@ THRESHOLD = 80
 KEY_BITS = 4
 #: Keys that a set and its leader share at least before they are compared.
 KEYS_SHARED = 4
-#: A shingle in at least so many sets counts as frequent and goes to the end of the order.
-FREQUENT = 64
-#: Frequent shingles that are told to all tasks, at most (the most frequent ones).
-FREQUENT_MOST = 1 << 20
+#: A shingle in at least so many sets goes to the end of the order.  The least count is
+#: doubled until the shingles fit into a Bloom filter of bounded size.
+SHARED, SHARED_MOST = 2, 5_500_000
+#: Shingles in at least so many sets are ordered by count, the most frequent ones at most.
+FREQUENT, FREQUENT_MOST = 64, 1 << 20
 #: Bits of a hash that frequencies are counted by.
 COUNT_BITS = 40
 #: Values that a task sorts at once while counting.
@@ -116,8 +117,31 @@ def summaries(rows: DataFrame, buckets: int) -> DataFrame:
     return rows.mapInArrow(run, "rid long, doc_id long, n long, digest binary, keys array<long>, bucket long, values binary, counts binary")
 
 
-def frequent_shingles(s: Scratch, blobs: DataFrame, least: int, most: int) -> tuple[np.ndarray, np.ndarray]:
-    """Truncated hashes in at least ``least`` sets and their counts, at most ``most`` of them."""
+class Order:
+    """The global order of shingles, told to all tasks in bounded size: which shingles are
+    shared (a Bloom filter; a false one is only moved back) and how often the most frequent
+    ones occur.  It is a function of the hash alone, so it is the same for every set."""
+
+    def __init__(self, shared: IdFilter, frequent: np.ndarray, counts: np.ndarray):
+        self.shared, self.frequent, self.counts = shared, frequent, counts
+
+    def arranged(self, own: np.ndarray) -> np.ndarray:
+        """Sorted hashes of a set, rare ones first, then shared ones by count."""
+        short = own >> np.uint64(64 - COUNT_BITS)
+        often = self.shared.test(short)
+        last = np.flatnonzero(often)
+        if not len(last):
+            return own
+        if len(self.frequent):
+            at = np.searchsorted(self.frequent, short[last])
+            known = np.take(self.frequent, at, mode="clip") == short[last]
+            count = np.where(known, np.take(self.counts, at, mode="clip"), 0)
+            last = last[np.lexsort((own[last], count))]
+        return np.concatenate((own[~often], own[last]))
+
+
+def shingle_order(s: Scratch, blobs: DataFrame, shared: int, frequent: int, most: int) -> Order:
+    """Counts every truncated hash over all sets, task by task and then bucket by bucket."""
 
     def total(t: pa.Table) -> pa.Table:
         parts = [(unpressed(v), np.frombuffer(zstandard.decompress(c), np.uint32)) for v, c in zip(t.column("values").to_pylist(), t.column("counts").to_pylist(), strict=True)]
@@ -126,33 +150,23 @@ def frequent_shingles(s: Scratch, blobs: DataFrame, least: int, most: int) -> tu
         values, counts = values[order], np.concatenate([c for _, c in parts])[order].astype(np.int64)
         first = np.flatnonzero(np.concatenate(([True], values[1:] != values[:-1])))
         sums = np.add.reduceat(counts, first)
-        keep = sums >= least
+        keep = sums >= shared
         return pa.table({"value": pa.array(values[first][keep].astype(np.int64)), "count": pa.array(sums[keep])})
 
-    found = s.save(blobs.groupBy("bucket").applyInArrow(total, "value long, count long"), "frequent")
-    if found.count() > most:
-        found = found.orderBy(F.desc("count"), "value").limit(most)
-    rows = found.toPandas().sort_values("value")
-    return rows["value"].to_numpy(np.uint64), rows["count"].to_numpy(np.int64)
+    found = s.save(blobs.groupBy("bucket").applyInArrow(total, "value long, count long"), "shared")
+    while (n := found.where(F.col("count") >= shared).count()) > SHARED_MOST:
+        shared *= 2
+    often = found.where(F.col("count") >= max(shared, frequent)).orderBy(F.desc("count"), "value").limit(most).toPandas().sort_values("value")
+    return Order(IdFilter.of(found.where(F.col("count") >= shared), "value", n), often["value"].to_numpy(np.uint64), often["count"].to_numpy(np.int64))
 
 
-def prefix(own: np.ndarray, frequent: np.ndarray, counts: np.ndarray, threshold: int) -> np.ndarray:
-    """The first shingles of a set in the global order: rare ones by hash, then the frequent
-    ones by count.  Two sets that are similar enough share one of them."""
+def prefix(own: np.ndarray, order: Order, threshold: int) -> np.ndarray:
+    """The first shingles of a set in the global order; two similar sets share one of them."""
     n = len(own)
-    length = n - -(-threshold * n // 100) + 1
-    if len(frequent):
-        short = own >> np.uint64(64 - COUNT_BITS)
-        at = np.searchsorted(frequent, short)
-        often = np.take(frequent, at, mode="clip") == short
-        if often.any():
-            last = np.flatnonzero(often)
-            last = last[np.lexsort((own[last], counts[at[last]]))]
-            own = np.concatenate((own[~often], own[last]))
-    return own[:length]
+    return order.arranged(own)[: n - -(-threshold * n // 100) + 1]
 
 
-def posting_lists(rows: DataFrame, classes: IdFilter, frequent: np.ndarray, counts: np.ndarray, buckets: int, threshold: int) -> DataFrame:
+def posting_lists(rows: DataFrame, classes: IdFilter, arrange: Order, buckets: int, threshold: int) -> DataFrame:
     """``key, rid, n, pos`` of all index lists with two sets or more."""
 
     def emit(batches):
@@ -182,7 +196,7 @@ def posting_lists(rows: DataFrame, classes: IdFilter, frequent: np.ndarray, coun
                 digest = xxhash.xxh3_128_digest(own.tobytes())
                 if len(own) and digest not in seen:
                     seen.add(digest)
-                    held.append((rid, len(own), prefix(own, frequent, counts, threshold)))
+                    held.append((rid, len(own), prefix(own, arrange, threshold)))
                     size += len(held[-1][2])
             if size >= COUNT_CHUNK // 2:
                 yield flush(held)
@@ -326,17 +340,18 @@ def leader_pairs(sets: DataFrame) -> DataFrame:
     return shared.where(F.col("keys") >= F.least(F.lit(KEYS_SHARED), F.col("own"))).select("a", "b")
 
 
-def join_components(s: Scratch, docs: DataFrame, threshold: int = THRESHOLD, least: int = FREQUENT, most: int = FREQUENT_MOST) -> DataFrame:
+def join_components(s: Scratch, docs: DataFrame, threshold: int = THRESHOLD, shared: int = SHARED, frequent: int = FREQUENT, most: int = FREQUENT_MOST) -> DataFrame:
     """``rid, doc_id, n_shingles, component_id, first_rid`` of every document."""
     rows = keyed(s, docs)
     buckets = max(1, min(4096, rows.count() // 4096))
     both = s.save(summaries(rows, buckets), "summaries")
-    sets = both.where("bucket IS NULL").select("rid", "doc_id", "n", "digest", "keys")
-    frequent, counts = frequent_shingles(s, both.where("bucket IS NOT NULL").select("bucket", "values", "counts"), least, most)
+    sets = s.save(both.where("bucket IS NULL").select("rid", "doc_id", "n", "digest", "keys"), "sets")
+    arrange = shingle_order(s, both.where("bucket IS NOT NULL").select("bucket", "values", "counts"), shared, frequent, most)
+    s.drop("summaries")
     classes = s.save(sets.where("n > 0").groupBy("digest").agg(F.min_by(F.struct("rid", "n", "keys"), "rid").alias("c")).select("c.rid", "c.n", "c.keys", "digest"), "classes")
     leaders = verified(s, rows, leader_pairs(classes), threshold, "lead")
     near = s.save(components(s, leaders), "near")
-    lists = posting_lists(rows, IdFilter.of(classes, "rid", classes.count()), frequent, counts, buckets, threshold)
+    lists = posting_lists(rows, IdFilter.of(classes, "rid", classes.count()), arrange, buckets, threshold)
     # a copy that another task let through the filter stands for its own class here
     lists = s.save(lists.join(near, "rid", "left").withColumn("comp", F.coalesce("comp", "rid")), "lists")
     rest = verified(s, rows, candidates(lists, threshold), threshold, "rest")
