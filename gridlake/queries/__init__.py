@@ -1,9 +1,12 @@
 """Registry of the grid engine's queries and their DuckDB counterparts."""
 
+from gridlake.queries import methods, workloads  # noqa: F401
+from gridlake.queries.registry import ORACLES, QUERIES
+
 
 def queries():
-    return {}
+    return QUERIES
 
 
 def oracle_sql():
-    return {}
+    return ORACLES
