@@ -29,9 +29,10 @@ from gridlake.llm.common import CHUNK_BYTES, IdFilter, Scratch, doc_chunks, keye
 from gridlake.llm.textkernels import _VALUE, _tables
 
 LENGTH = 200
-GRAM = 16
+#: Bytes of a gram: long enough that common words alone don't make one.
+GRAM = 64
 #: Window bytes in a shard, about, and in a part of one at most.
-SHARD_BYTES, PART_BYTES = 4 << 20, 8 << 20
+SHARD_BYTES, PART_BYTES = 2 << 20, 3 << 20
 #: Anchors that a task sorts at once.
 FLUSH = 1 << 20
 _RAW = _VALUE.copy()
