@@ -27,7 +27,7 @@ BLOOM_MAX_BITS = 1 << 26
 #: A row key that earlier steps have put beside the columns of the documents.
 RID = "__gridlake_rid"
 #: Text bytes that a kernel works on at once.
-CHUNK_BYTES = 4 << 20
+CHUNK_BYTES = 1 << 20
 
 
 def ship(spark: SparkSession) -> None:

@@ -46,7 +46,7 @@ FREQUENT, FREQUENT_MOST = 64, 1 << 20
 #: Bits of a hash that frequencies are counted by.
 COUNT_BITS = 40
 #: Values that a task sorts at once while counting.
-COUNT_CHUNK = 1 << 22
+COUNT_CHUNK = 1 << 21
 #: Members that one task compares with a leader, about.
 SALT_ROWS = 4000
 
