@@ -96,10 +96,15 @@ for extent in (10, 20, 30, 40, 50):
     add(f"w_speed_ours{tail}", lambda c, test=test: fastest(c.grid("g3").scan(["price_avg", "price_max"], test)), sql)
     add(f"w_speed_long{tail}", lambda c, test=test: fastest(bl.wide_by_selfjoin(bl.long_rows(c.grid("g3"), ["price_avg", "price_max"], test), LONG_AXES, ["price_avg", "price_max"])), sql)
 
+
+
+def greatest(rows: DataFrame) -> DataFrame:
+    return rows.agg(F.max("price_max").alias("price_max"), F.count("*").alias("cells"))
+
+
 # greatest value over two regions: their boxes against one enclosing box
 for n in (10, 20, 40, 80):
     last = f"order_month < '{1992 + (36 + n) // 12}-{(36 + n) % 12 + 1:02d}-01'"
     sql = f"WITH {GP} SELECT MAX(price_max) AS price_max, COUNT(*) AS cells FROM gp WHERE ({REGIONS}) AND {last.replace('< ', '< TIMESTAMP ')}"
-    out = (F.max("price_max").alias("price_max"), F.count("*").alias("cells"))
-    add(f"w_regions_ours_{n}", lambda c, last=last, out=out: c.grid("gp").scan(["price_max"], f"({REGIONS}) AND {last}").agg(*out), sql)
-    add(f"w_regions_hull_{n}", lambda c, last=last, out=out: bl.hull_scan(c.grid("gp"), ["price_max"], f"({REGIONS}) AND {last}").agg(*out), sql)
+    add(f"w_regions_ours_{n}", lambda c, last=last: greatest(c.grid("gp").scan(["price_max"], f"({REGIONS}) AND {last}")), sql)
+    add(f"w_regions_hull_{n}", lambda c, last=last: greatest(bl.hull_scan(c.grid("gp"), ["price_max"], f"({REGIONS}) AND {last}")), sql)
