@@ -32,9 +32,9 @@ LENGTH = 200
 #: Bytes of a gram: long enough that common words alone don't make one.
 GRAM = 64
 #: Window bytes in a shard, about, and in a part of one at most.
-SHARD_BYTES, PART_BYTES = 2 << 20, 3 << 20
+SHARD_BYTES, PART_BYTES = 1 << 20, 2 << 20
 #: Anchors that a task sorts at once.
-FLUSH = 1 << 20
+FLUSH = 1 << 19
 _RAW = _VALUE.copy()
 _RAW[65:91] = mixed(_VALUE[97:123])  # here case counts
 
@@ -86,6 +86,9 @@ def merged(starts: np.ndarray, stops: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return starts[new], reach[last]
 
 
+#: From here on a number needs one byte more.
+_BYTES = np.array([1 << (8 * k) for k in range(8)], np.uint64)
+
 # --- suffix arrays -----------------------------------------------------------------
 
 
@@ -98,13 +101,13 @@ def words_at(text: np.ndarray) -> np.ndarray:
     return out
 
 
-def suffix_array(text: np.ndarray, limit: int) -> tuple[np.ndarray, np.ndarray]:
+def suffix_array(text: np.ndarray, key: np.ndarray, limit: int) -> tuple[np.ndarray, np.ndarray]:
     """Suffixes sorted by their first ``limit`` bytes or more, and their ranks.
 
     Larsson-Sadakane: a rank is the place of the group's first member, groups of one are
     done, and only the others are sorted again by the rank ``depth`` bytes further on.
     """
-    n, key = len(text), words_at(text)
+    n = len(text)
     sa = np.argsort(key, kind="stable")
     sorted_key = key[sa]
     head = np.concatenate(([True], sorted_key[1:] != sorted_key[:-1]))
@@ -129,50 +132,40 @@ def suffix_array(text: np.ndarray, limit: int) -> tuple[np.ndarray, np.ndarray]:
     return sa, rank
 
 
-def common_prefixes(text: np.ndarray, sa: np.ndarray, rank: np.ndarray, limit: int) -> np.ndarray:
-    """Common prefix, capped at ``limit``, of each sorted suffix and the one before it.
+def common_prefixes(key: np.ndarray, sa: np.ndarray, rank: np.ndarray, starts: np.ndarray, lanes: np.ndarray, counts: np.ndarray, limit: int) -> np.ndarray:
+    """Common prefix, capped at ``limit``, of each of the sorted suffixes and the one before.
 
     Kasai's rule: going through the text in order, a suffix shares at least one byte less
-    with its predecessor than the suffix one byte before did.  Many stretches of the text
-    take their steps together.  Suffixes of equal rank were left unsorted: they share the
-    limit, and nothing follows from them for the suffix behind.
+    with its predecessor than the suffix one byte before did.  All windows take their steps
+    together: ``lanes`` are their first positions, ``counts`` how many suffixes of each are
+    in ``sa``, which holds those marked in ``starts``.  Suffixes of equal rank were left
+    unsorted: they share the limit, and nothing follows from them for the suffix behind;
+    neither does it from a predecessor whose next suffix is not in ``sa``.
     """
-    n = len(text)
-    before = np.full(n, -1, np.int64)
+    n = len(key)
+    before = np.full(n, -1, np.int32)
     before[sa[1:]] = sa[:-1]
-    key = words_at(text)
-    step = max(1, min(1024, n // 64))
-    lanes = np.arange(0, n, step)
-    h = np.zeros(len(lanes), np.int64)
-    tied = np.ones(len(lanes), bool)
-    shared = np.zeros(n, np.int64)
-    for j in range(step):
-        p = lanes + j
-        if p[-1] >= n:
-            lanes, h, p, tied = lanes[:-1], h[:-1], p[:-1], tied[:-1]
-            if not len(p):
-                break
-        q = before[p]
-        h = np.where((q >= 0) & ~tied, np.maximum(h - 1, 0), 0)
-        tied = (q >= 0) & (rank[p] == rank[q])
+    shared = np.zeros(n, np.int16)
+    order = np.argsort(-counts, kind="stable")
+    lanes, counts = lanes[order], counts[order]
+    h, free = np.zeros(len(lanes), np.int64), np.zeros(len(lanes), bool)
+    for j in range(int(counts.max(initial=0))):
+        m = int(np.searchsorted(-counts, -j))  # lanes with more than j suffixes
+        p = lanes[:m] + j
+        q = before[p].astype(np.int64)
+        known = q >= 0
+        h = np.where(known & free[:m], np.maximum(h[:m] - 1, 0), 0)
+        tied = known & (rank[p] == rank[q])
         h[tied] = limit
-        active = np.flatnonzero((q >= 0) & (h < limit))
+        active = np.flatnonzero(known & (h < limit))
         while len(active):
-            a, b = p[active] + h[active], q[active] + h[active]
-            inside = (a < n) & (b < n)
-            active, a, b = active[inside], a[inside], b[inside]
-            differ = key[a] ^ key[b]
-            same = np.where(differ == 0, 8, 0)
-            some = np.flatnonzero(differ)
-            # equal leading bytes of words that differ
-            d = differ[some]
-            for k in range(1, 8):
-                same[some] += d >> np.uint64(64 - 8 * k) == 0
-            same = np.minimum(same, np.minimum(n - a, n - b))
+            differ = key[p[active] + h[active]] ^ key[q[active] + h[active]]
+            same = 8 - np.searchsorted(_BYTES, differ, "right")
             h[active] += same
             active = active[(same == 8) & (h[active] < limit)]
         h = np.minimum(h, limit)
         shared[p] = h
+        free = known & ~tied & starts[np.minimum(q + 1, n - 1)]
     return shared[sa]
 
 
@@ -204,12 +197,11 @@ class Part:
         self.starts = offset + limit <= lens[self.window]
         self.offset, self.place = offset, places[self.window] + offset.astype(np.uint64)
         self.key = words_at(self.text)
-        sa, rank = suffix_array(self.text, limit)
-        shared = common_prefixes(self.text, sa, rank, limit)
-        # only suffixes that hold a whole string, with the least prefix shared on the way
-        run = np.cumsum(shared < limit)
-        keep = self.starts[sa]
-        self.sa, self.run = sa[keep], run[keep]
+        sa, rank = suffix_array(self.text, self.key, limit)
+        #: The sorted suffixes that hold a whole string, numbered by runs that share it.
+        self.sa = sa[self.starts[sa]]
+        shared = common_prefixes(self.key, self.sa, rank, self.starts, self.begin, np.maximum(0, lens - limit + 1), limit)
+        self.run = np.cumsum(shared < limit)
 
 
 def repeated(windows: list[bytes], places: np.ndarray, several: np.ndarray, limit: int = LENGTH, part_bytes: int = PART_BYTES) -> list[tuple[int, np.ndarray, np.ndarray]]:
