@@ -194,7 +194,7 @@ grid_query("fn_math", lambda c: g3(c).select(*KEY, F.round(F.sqrt("price_sum") +
 add("fn_date", lambda c: c.table("lineitem").select(F.year("l_shipdate").alias("y"), F.month("l_shipdate").alias("m"), F.dayofyear("l_shipdate").alias("d"), F.datediff("l_shipdate", F.lit("1992-01-01").cast("date")).alias("n"), F.date_format(F.add_months("l_shipdate", 2), "yyyy-MM-dd").alias("later")).distinct(), "SELECT DISTINCT CAST(year(l_shipdate) AS INTEGER) AS y, CAST(month(l_shipdate) AS INTEGER) AS m, CAST(dayofyear(l_shipdate) AS INTEGER) AS d, CAST(date_diff('day', DATE '1992-01-01', CAST(l_shipdate AS DATE)) AS INTEGER) AS n, strftime(l_shipdate + INTERVAL 2 MONTH, '%Y-%m-%d') AS later FROM lineitem")
 add("fn_interval", lambda c: c.table("events").select("event_id", F.date_format(F.col("ts") + F.make_dt_interval(hours=F.lit(36)), "yyyy-MM-dd HH:mm:ss").alias("later")), "SELECT event_id, strftime(ts + INTERVAL 36 HOUR, '%Y-%m-%d %H:%M:%S') AS later FROM events")
 add("fn_string", lambda c: c.table("part").select("p_partkey", F.upper("p_name").alias("u"), F.substring("p_type", 1, 4).alias("s"), F.concat_ws("/", "p_brand", "p_type").alias("c"), F.length("p_name").alias("n"), F.regexp_extract("p_brand", "([0-9]+)", 1).alias("r"), F.replace(F.col("p_name"), F.lit("a"), F.lit("_")).alias("x"), F.trim(F.concat(F.lit(" "), "p_brand")).alias("t")), "SELECT p_partkey, upper(p_name) AS u, substr(p_type, 1, 4) AS s, concat_ws('/', p_brand, p_type) AS c, CAST(length(p_name) AS INTEGER) AS n, regexp_extract(p_brand, '([0-9]+)', 1) AS r, replace(p_name, 'a', '_') AS x, trim(' ' || p_brand) AS t FROM part")
-add("fn_array", lambda c: c.table("embeddings").select("vec_id", F.element_at("embedding", 3).alias("third"), F.size(F.slice("embedding", 11, 5)).alias("n"), F.size(F.filter("embedding", lambda x: x > 0)).alias("pos"), F.array_max("embedding").alias("top"), F.exists("embedding", lambda x: x > 0.4).alias("big")), "SELECT vec_id, embedding[3] AS third, CAST(len(embedding[11:15]) AS INTEGER) AS n, CAST(len(list_filter(embedding, x -> x > 0)) AS INTEGER) AS pos, list_max(embedding) AS top, len(list_filter(embedding, x -> x > 0.4)) > 0 AS big FROM embeddings")
+add("fn_array", lambda c: c.table("embeddings").select("vec_id", F.element_at("embedding", 3).alias("third"), F.size(F.slice("embedding", 11, 5)).alias("n"), F.size(F.filter("embedding", lambda x: x > 0)).alias("pos"), F.array_max("embedding").alias("top"), F.exists("embedding", lambda x: x > 0.4).alias("big")), "SELECT vec_id, embedding[3] AS third, CAST(len(embedding[11:15]) AS INTEGER) AS n, CAST(len(list_filter(embedding, lambda x: x > 0)) AS INTEGER) AS pos, list_max(embedding) AS top, len(list_filter(embedding, lambda x: x > 0.4)) > 0 AS big FROM embeddings")
 grid_query("fn_map", lambda c: g3(c, "qty = 5", ["chunk", "disc", "price_avg", "price_max"]).withColumn("m", F.create_map(F.lit("avg"), "price_avg", F.lit("max"), "price_max")).select("chunk", "disc", F.explode(F.transform_values("m", lambda k, v: v * 2)).alias("k", "v")), "SELECT chunk, disc, 'avg' AS k, price_avg * 2 AS v FROM g3 WHERE qty = 5 UNION ALL SELECT chunk, disc, 'max', price_max * 2 FROM g3 WHERE qty = 5")
 add("fn_json", lambda c: c.table("events").select("event_id", F.get_json_object("props", "$.k").cast("int").alias("k"), (F.from_json("props", "k int")["k"] + 1).alias("k1")), "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INTEGER) AS k, CAST(json_extract_string(props, '$.k') AS INTEGER) + 1 AS k1 FROM events")
 grid_query("fn_struct", lambda c: g3(c, "qty = 6").select(F.struct(F.struct("qty", "disc").alias("at"), "n_lines").alias("s"), "chunk").select("chunk", "s.at.disc", "s.n_lines"), "SELECT chunk, disc, n_lines FROM g3 WHERE qty = 6")
