@@ -48,6 +48,7 @@ grid_query("tile_roundtrip", lambda c: c.grid("g3").tiles().groupBy("chunk").agg
 
 def python_source(c: Context) -> DataFrame:
     c.spark.dataSource.register(GridTiles)
+    c.spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")  # a session setting, off by default
     read = c.spark.read.format("gridtiles").options(**options_for(c.grid("g3"), ["1997-03", "1997-04"], ["n_lines", "price_max"])).load()
     return read.where("qty > 20.2 AND qty < 35.5 AND n_lines IS NOT NULL")
 
@@ -147,7 +148,7 @@ _CUBE = "SELECT qty, disc, CAST(SUM(n_lines) AS BIGINT) AS n FROM g3 WHERE qty <
 grid_query("agg_rollup", lambda c: g3(c, "qty <= 5").rollup("qty", "disc").agg(F.sum("n_lines").alias("n")), _CUBE.format("ROLLUP (qty, disc)"))
 grid_query("agg_cube", lambda c: g3(c, "qty <= 5").cube("qty", "disc").agg(F.sum("n_lines").alias("n")), _CUBE.format("CUBE (qty, disc)"))
 grid_query("agg_grouping_sets", lambda c: g3(c, "qty <= 5").groupingSets([["qty"], ["disc"]], "qty", "disc").agg(F.sum("n_lines").alias("n")), _CUBE.format("GROUPING SETS ((qty), (disc))"))
-add("agg_pivot", lambda c: c.table("lineitem").groupBy("l_returnflag").pivot("l_linestatus", ["F", "O"]).agg(F.count("*")), "SELECT l_returnflag, NULLIF(COUNT(*) FILTER (WHERE l_linestatus = 'F'), 0) AS F, NULLIF(COUNT(*) FILTER (WHERE l_linestatus = 'O'), 0) AS O FROM lineitem GROUP BY l_returnflag")
+add("agg_pivot", lambda c: c.table("lineitem").groupBy("l_returnflag").pivot("l_linestatus", ["F", "O"]).agg(F.count(F.lit(1))), "SELECT l_returnflag, NULLIF(COUNT(*) FILTER (WHERE l_linestatus = 'F'), 0) AS F, NULLIF(COUNT(*) FILTER (WHERE l_linestatus = 'O'), 0) AS O FROM lineitem GROUP BY l_returnflag")
 grid_query("agg_unpivot", lambda c: g3(c, "qty = 9", ["chunk", "disc", "price_avg", "price_max"]).unpivot(["chunk", "disc"], ["price_avg", "price_max"], "variable", "value"), "SELECT chunk, disc, 'price_avg' AS variable, price_avg AS value FROM g3 WHERE qty = 9 UNION ALL SELECT chunk, disc, 'price_max', price_max FROM g3 WHERE qty = 9")
 grid_query("agg_having", lambda c: g3(c).groupBy("chunk").agg(F.sum("n_lines").alias("n")).where("n > 50"), "SELECT chunk, CAST(SUM(n_lines) AS BIGINT) AS n FROM g3 GROUP BY chunk HAVING SUM(n_lines) > 50")
 
