@@ -63,23 +63,26 @@ class Scratch:
     """Tables written for one run of an operator.
 
     ``save`` writes now and reads back, so later jobs start from files that every
-    executor can reach.  Leaving the ``with`` block deletes all but ``keep``.
+    executor can reach; a name can be used again.  Leaving the ``with`` block deletes all but ``keep``.
     """
 
     def __init__(self, spark: SparkSession, name: str):
         ship(spark)
         self.spark, self.root = spark, f"{shared_dir(spark)}/gridlake-{name}-{uuid.uuid4().hex}"
-        self.kept: list[str] = []
-        self.made: list[str] = []
+        #: Names and paths of what may be deleted.
+        self.made: list[tuple[str, str]] = []
+        self.count = 0
 
     def __enter__(self) -> Scratch:
         return self
 
     def save(self, df: DataFrame, name: str, keep: bool = False, partition_by: str | None = None) -> DataFrame:
-        path = f"{self.root}/{name}"
+        path = f"{self.root}/{self.count}-{name}"
+        self.count += 1
         writer = df.write.mode("overwrite").option("compression", "zstd")
         (writer.partitionBy(partition_by) if partition_by else writer).parquet(path)
-        (self.kept if keep else self.made).append(path)
+        if not keep:
+            self.made.append((name, path))
         return self.spark.read.schema(df.schema).parquet(path)
 
     def keep(self, df: DataFrame, name: str = "result") -> DataFrame:
@@ -87,10 +90,10 @@ class Scratch:
 
     def drop(self, *names: str) -> None:
         jvm = self.spark.sparkContext._jvm
-        for path in [p for p in self.made if not names or p.rsplit("/", 1)[-1] in names]:
+        for name, path in [m for m in self.made if not names or m[0] in names]:
             where = jvm.org.apache.hadoop.fs.Path(path)
             where.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-            self.made.remove(path)
+            self.made.remove((name, path))
 
     def __exit__(self, *_) -> None:
         self.drop()
