@@ -141,27 +141,26 @@ class IdFilter:
     lets more rows through to the exact join behind it.
     """
 
-    HASHES = 4
-
-    def __init__(self, bits: np.ndarray, log2: int):
-        self.bits, self.log2 = bits, log2
+    def __init__(self, bits: np.ndarray, log2: int, hashes: int):
+        self.bits, self.log2, self.hashes = bits, log2, hashes
 
     @staticmethod
-    def slots(ids: np.ndarray, log2: int) -> Iterator[np.ndarray]:
+    def slots(ids: np.ndarray, log2: int, hashes: int) -> Iterator[np.ndarray]:
         h = ids.astype(np.int64).view(np.uint64)
-        for k in range(IdFilter.HASHES):
+        for k in range(hashes):
             yield mixed(h + np.uint64((k + 1) * 0x9E3779B97F4A7C15 & (2**64 - 1))) >> np.uint64(64 - log2)
 
     @classmethod
     def of(cls, ids: DataFrame, column: str, count: int) -> IdFilter:
         """Built from a column of ids; ``count`` only sizes it."""
         log2 = min(int(math.log2(BLOOM_MAX_BITS)), max(12, math.ceil(math.log2(max(1, count) * 12))))
+        hashes = max(1, min(4, round(0.7 * (1 << log2) / max(1, count))))  # fewer where bits are scarce
 
         def build(batches):
             bits = np.zeros(1 << log2 >> 3, np.uint8)
             for b in batches:
                 got = b.column(0).to_numpy(zero_copy_only=False)
-                for s in cls.slots(got, log2):
+                for s in cls.slots(got, log2, hashes):
                     np.bitwise_or.at(bits, (s >> np.uint64(3)).astype(np.int64), (1 << (s & np.uint64(7))).astype(np.uint8))
             yield pa.RecordBatch.from_arrays([pa.array([bits.tobytes()], pa.binary())], ["bits"])
 
@@ -169,11 +168,11 @@ class IdFilter:
         total = np.zeros(1 << log2 >> 3, np.uint8)
         for (b,) in parts:
             total |= np.frombuffer(b, np.uint8)
-        return cls(total, log2)
+        return cls(total, log2, hashes)
 
     def test(self, ids: np.ndarray) -> np.ndarray:
         ok = np.ones(len(ids), bool)
-        for s in self.slots(ids, self.log2):
+        for s in self.slots(ids, self.log2, self.hashes):
             ok &= (self.bits[(s >> np.uint64(3)).astype(np.int64)] >> (s & np.uint64(7)).astype(np.uint8)) & 1 == 1
         return ok
 

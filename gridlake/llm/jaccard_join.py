@@ -40,13 +40,13 @@ KEY_BITS = 4
 KEYS_SHARED = 4
 #: A shingle in at least so many sets goes to the end of the order.  The least count is
 #: doubled until the shingles fit into a Bloom filter of bounded size.
-SHARED, SHARED_MOST = 2, 5_500_000
+SHARED, SHARED_MOST = 2, 40_000_000
 #: Shingles in at least so many sets are ordered by count, the most frequent ones at most.
 FREQUENT, FREQUENT_MOST = 64, 1 << 20
 #: Bits of a hash that frequencies are counted by.
 COUNT_BITS = 40
 #: Values that a task sorts at once while counting.
-COUNT_CHUNK = 1 << 21
+COUNT_CHUNK = 1 << 20
 #: Members that one task compares with a leader, about.
 SALT_ROWS = 4000
 
@@ -343,7 +343,7 @@ def leader_pairs(sets: DataFrame) -> DataFrame:
 def join_components(s: Scratch, docs: DataFrame, threshold: int = THRESHOLD, shared: int = SHARED, frequent: int = FREQUENT, most: int = FREQUENT_MOST) -> DataFrame:
     """``rid, doc_id, n_shingles, component_id, first_rid`` of every document."""
     rows = keyed(s, docs)
-    buckets = max(1, min(4096, rows.count() // 4096))
+    buckets = max(1, min(4096, rows.count() // 2048))
     both = s.save(summaries(rows, buckets), "summaries")
     sets = s.save(both.where("bucket IS NULL").select("rid", "doc_id", "n", "digest", "keys"), "sets")
     arrange = shingle_order(s, both.where("bucket IS NOT NULL").select("bucket", "values", "counts"), shared, frequent, most)
