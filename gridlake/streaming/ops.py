@@ -20,8 +20,16 @@ SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, valu
 
 
 def events(spark: SparkSession, path: str) -> DataFrame:
-    """The event table as a file stream."""
-    return spark.readStream.schema(SCHEMA).parquet(path).withColumn("ts", F.col("ts").cast("timestamp"))
+    """The event table as a file stream.
+
+    A stream watches a folder; of a table that is a single file, the folder is watched with
+    a filter on the file's name.
+    """
+    folder, _, name = path.rstrip("/").rpartition("/")
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    single = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(where).isFile()
+    reader = spark.readStream.schema(SCHEMA)
+    return (reader.option("pathGlobFilter", name).parquet(folder) if single else reader.parquet(path)).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
