@@ -60,12 +60,14 @@ def main() -> None:
         began = time.perf_counter()
         context.grid(name)
         seconds[f"ingest_{name}"] = round(time.perf_counter() - began, 3)
+        print("ingest", name, seconds[f"ingest_{name}"], file=sys.stderr, flush=True)
     queries = gq.queries()
     queries["q_convex"](spark, SF_DIR).count()  # the first run compiles and lists files
     for name in HEADLINES:
         began = time.perf_counter()
         queries[name](spark, SF_DIR).write.format("noop").mode("overwrite").save()
         seconds[name] = round(time.perf_counter() - began, 3)
+        print(name, seconds[name], file=sys.stderr, flush=True)
     ratios = {k: round(seconds[a] / seconds[b], 2) for k, (a, b) in PAIRS.items()}
     total = round(sum(seconds[n] for n in HEADLINES), 3)
     print(json.dumps({"metric": "headline_seconds", "value": total, "unit": "sec", "queries": seconds, "sf": SF_DIR.rsplit("sf", 1)[-1], "ratios": ratios, "covers": covers()}))

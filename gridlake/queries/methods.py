@@ -2,13 +2,11 @@
 
 from __future__ import annotations
 
-from datetime import datetime
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridlake.functions.science import decode_time, rh_ice, speed
-from gridlake.model import Axis, ScanOptions, after, axis_span, axis_spans_in, before
+from gridlake.model import ScanOptions, after, axis_span, axis_spans_in, before
 from gridlake.operators import baselines as bl
 from gridlake.operators import boxes as bx
 from gridlake.operators import measures as ms
@@ -262,7 +260,6 @@ def cover_bench(c: Context) -> DataFrame:
     return pairs(c, rows, "workload string, d int, n int, cover string, seconds double, pieces long, boxes long")
 
 
-_EL = "SELECT k, CASE WHEN a0_lo + a1_lo = a0_lo + a1_lo THEN 1 END"
 add(
     "cover_multiplicity",
     lambda c: ms.multiplicity(c.spark, bx.centred(8, 2)),

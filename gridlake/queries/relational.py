@@ -6,7 +6,6 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from gridlake.functions.science import histogram, speed
 from gridlake.operators.cover_df import islands
@@ -228,10 +227,6 @@ _SPEED = "SELECT chunk, qty, disc, round(sqrt(price_avg * price_avg + price_max
 UV = [*KEY, "price_avg", "price_max"]
 
 
-def speed_of(u: float, v: float) -> float:
-    return (u * u + v * v) ** 0.5
-
-
 def with_speed(rows: DataFrame, column) -> DataFrame:
     return rows.select(*KEY, F.round(column, 6).alias("speed"))
 

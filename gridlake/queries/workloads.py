@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gridlake.functions.science import histogram, ratio, speed
+from gridlake.functions.science import histogram, ratio
 from gridlake.operators import baselines as bl
 from gridlake.operators.envelope import envelope_join
 from gridlake.queries.methods import EXACT, LONG_AXES, ON, PHYSICS_SQL, REGIONS, SIX, exact_sum, fastest, means, physics
