@@ -28,8 +28,6 @@ RULES = {"org/": "allow", "example.org/es/": "block", "example.org/en/1": "block
 # Words whose trade is unwanted; hosts that hold one are training examples.
 UNWANTED = ("casino", "poker", "viagra", "porn", "xxx", "betting", "jackpot", "pills", "replica", "payday")
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-#: The word model's vocabulary: the most frequent words of all pages' titles.
-VOCABULARY = 50_000
 #: Labelled URLs that the model is trained on, at most.
 TRAINING = 20_000
 BUCKETS = 1 << 15
@@ -64,21 +62,36 @@ def verdict_of(rule: str) -> Column:
     return out
 
 
-def title_words(pages: DataFrame, size: int = VOCABULARY) -> dict[str, int]:
-    """Counts of the most frequent words of all titles."""
-    title = F.lower(F.regexp_extract(F.coalesce(F.col("html").cast("string"), F.lit("")), r"(?is)<title[^>]*>(.*?)</title>", 1))
-    words = pages.select(F.explode(F.regexp_extract_all(title, F.lit("[a-z]+"), 0)).alias("word")).where(F.length("word") <= LONGEST)
-    return {r.word: r.n for r in words.groupBy("word").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "word").limit(size).collect()}
+def visible_text(html: str) -> Column:
+    """A page's text without comments, scripts, styles, tags and entities."""
+    text = F.coalesce(F.col(html).cast("string"), F.lit(""))
+    text = F.regexp_replace(text, r"(?is)<!--.*?(?:-->|\z)|<(script|style)\b.*?(?:</\1|\z)", " ")
+    return F.regexp_replace(text, r"<[^<>]*>|&#?\w+;", " ")
+
+
+def word_counts(pages: DataFrame) -> tuple[dict[str, int], int]:
+    """Counts in all pages' texts of every word that occurs in some host, and of all words."""
+    words = pages.select(F.explode(F.regexp_extract_all(F.lower(visible_text("html")), F.lit("[a-z]+"), 0)).alias("word"))
+    counted = words.groupBy("word").agg(F.count("*").alias("n"))
+    # the windows at all places of the hosts' labels; their prefixes are all of the labels' parts
+    windows = parsed(pages).select(F.explode(F.regexp_extract_all("host", F.lit(f"(?=([a-z]{{1,{LONGEST}}}))"), 1)).alias("w")).distinct()
+    parts = windows.select(F.explode(F.expr("transform(sequence(1, length(w)), n -> substr(w, 1, n))")).alias("word")).distinct()
+    found = counted.join(parts.withColumn("part", F.lit(True)), "word", "left")
+    rows = found.groupBy(F.when(F.col("part"), F.col("word")).alias("word")).agg(F.sum("n").alias("n")).collect()
+    return {r.word: r.n for r in rows if r.word is not None}, sum(r.n for r in rows)
 
 
 class Segmenter:
-    """Most probable split of a name into words of a unigram model."""
+    """Most probable split of a name into words of a unigram model.
+
+    ``total`` counts all words of the texts, those that no name holds included.
+    """
 
-    def __init__(self, counts: dict[str, int]):
-        counts = defaultdict(int, counts)
+    def __init__(self, counts: dict[str, int], total: int | None = None):
+        counts, seen = defaultdict(int, counts), sum(counts.values())
         for w in (*UNWANTED, "www", "blog", "news", "shop", "mail"):
             counts[w] += 1
-        total = sum(counts.values())
+        total = sum(counts.values()) + (0 if total is None else total - seen)
         self.logp = {w: math.log(n / total) for w, n in counts.items()}
         # an unknown string costs more the longer it is
         self.unknown = [0.0, *(math.log(10 / total) - n * math.log(10) for n in range(1, LONGEST + 1))]
@@ -122,14 +135,14 @@ def judge(pages: DataFrame) -> DataFrame:
     """``page_id, host, path, rule, verdict, block_score`` of every page."""
     spark = pages.sparkSession
     ship(spark)
-    counts = title_words(pages)
+    counts, total = word_counts(pages)
     rows = parsed(pages).withColumn("rule", rule_of("host", "path")).withColumn("ruled", verdict_of("rule"))
     named = F.when(F.col("host").rlike("|".join(UNWANTED)), F.lit("block"))
     known = rows.withColumn("label", F.coalesce(named, F.col("ruled"))).where("label IS NOT NULL")
     known = known.orderBy(F.xxhash64("page_id", "host", "path"), "page_id", "host", "path").limit(TRAINING).select("host", "path", "label")
 
     def gather(batches):
-        segmenter, seen = Segmenter(counts), np.zeros((2, BUCKETS + 1), np.int64)
+        segmenter, seen = Segmenter(counts, total), np.zeros((2, BUCKETS + 1), np.int64)
         for batch in batches:
             for host, path, label in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 k = int(label == "block")
@@ -147,7 +160,7 @@ def judge(pages: DataFrame) -> DataFrame:
     weight = likely[1] - likely[0]
 
     def score(batches):
-        segmenter = Segmenter(counts)
+        segmenter = Segmenter(counts, total)
         for batch in batches:
             out = [prior + float(sum(weight[t] for t in tokens(h, p, segmenter))) for h, p in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True)]
             verdict = [r or ("block" if x > 0 else "allow") for r, x in zip(batch.column(4).to_pylist(), out, strict=True)]

@@ -284,6 +284,17 @@ def test_urls(spark):
     assert url_filter.Segmenter({"the": 50, "win": 9, "them": 3}).split("casinowinthe") == ("casino", "win", "the")
 
 
+def test_url_words_of_texts(spark):
+    body = "<p>casino land tree house</p><script>landhouse()</script>" * 40
+    hosts = ["casinoland.net", "casinoland.net", "treehouse.org", "landhouse.net", "treehouse.net"]
+    pages = spark.createDataFrame([(k, f"http://{h}/", body) for k, h in enumerate(hosts)], "page_id long, url string, html string")
+    counts, total = url_filter.word_counts(pages)
+    assert {w: counts[w] for w in ("casino", "land", "tree", "house")} == dict.fromkeys(("casino", "land", "tree", "house"), 200)
+    assert total == 800 and "landhouse" not in counts
+    score = {r.page_id: r.block_score for r in url_filter.judge(pages).collect()}
+    assert score[3] > score[4]  # "land" is known from a blocked host, "tree" from an allowed one
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
