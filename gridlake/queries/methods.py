@@ -13,7 +13,8 @@ from gridlake.operators import measures as ms
 from gridlake.operators.cover_df import cover_df, islands
 from gridlake.operators.envelope import envelope, envelope_bounds, envelope_join
 from gridlake.plans.scan import register_grid
-from gridlake.queries.registry import G3, G4, GE, GP, Context, add, query
+from gridlake.queries.registry import G3, G4, GE, GP, GU, Context, add, query
+from gridlake.sources.derived import money
 
 Q1 = "ship_month > '1997-01-01 00:15' AND qty > 20.2 AND qty < 35.5"
 Q1_SQL = "ship_month > TIMESTAMP '1997-01-01 00:15:00' AND qty > 20.2 AND qty < 35.5"
@@ -54,7 +55,19 @@ def infer_schema(c: Context) -> DataFrame:
 add("g3_rows", lambda c: c.grid("g3").rows().drop("ship_month"), f"WITH {G3} SELECT * EXCLUDE (ship_month) FROM g3")
 add("g4_rows", lambda c: c.grid("g4").rows().drop("ship_month"), f"WITH {G4} SELECT * EXCLUDE (ship_month) FROM g4")
 add("gp_rows", lambda c: c.grid("gp").rows().drop("order_month"), f"WITH {GP} SELECT * EXCLUDE (order_month) FROM gp")
-add("ge_rows", lambda c: c.grid("ge").rows().withColumn("hour", F.date_format("hour", "yyyy-MM-dd HH")), f"WITH {GE} SELECT * REPLACE (strftime(hour, '%Y-%m-%d %H') AS hour) FROM ge")
+
+
+def user_groups(cells: DataFrame) -> DataFrame:
+    """Cells of the event grid put together by the last two digits of the user, as the SQL's ge has them."""
+    return cells.withColumn("user", F.col("user") % 100).groupBy("chunk", "hour", "user", F.col("user").cast("int").alias("user_ix"), "etype", "etype_ix").agg(F.sum("n_events").alias("n_events"), money("value_sum").alias("value_sum"), F.max("value_max").alias("value_max"))
+
+
+def hours_of(cells: DataFrame) -> DataFrame:
+    return cells.withColumn("hour", F.date_format("hour", "yyyy-MM-dd HH"))
+
+
+add("ge_user_rows", lambda c: hours_of(c.grid("ge").rows()), f"WITH {GU} SELECT * REPLACE (strftime(hour, '%Y-%m-%d %H') AS hour) FROM gu")
+add("ge_rows", lambda c: hours_of(user_groups(c.grid("ge").rows())), f"WITH {GE} SELECT * REPLACE (strftime(hour, '%Y-%m-%d %H') AS hour) FROM ge")
 GV = "SELECT vec_id, CAST(generate_subscripts(embedding, 1) - 1 AS INTEGER) AS comp_ix, CAST(unnest(embedding) AS DOUBLE) AS x FROM embeddings"
 add("gv_rows", lambda c: c.grid("gv").rows().select("vec_id", "comp_ix", F.col("x").cast("double").alias("x")), GV)
 add(
@@ -147,7 +160,15 @@ HOURS = "hour >= '2024-01-05 06:30' AND hour < '2024-01-06 15:00' AND etype <= 2
 
 @query("local_partial_chunk", f"WITH {GE} SELECT chunk, strftime(hour, '%Y-%m-%d %H') AS hour, \"user\", etype, n_events FROM ge WHERE hour >= TIMESTAMP '2024-01-05 06:30:00' AND hour < TIMESTAMP '2024-01-06 15:00:00' AND etype <= 2")
 def local_partial_chunk(c: Context) -> DataFrame:
-    return c.grid("ge").scan(["chunk", "hour", "user", "etype", "n_events"], HOURS).withColumn("hour", F.date_format("hour", "yyyy-MM-dd HH"))
+    cells = c.grid("ge").scan(["chunk", "hour", "user", "etype", "n_events"], HOURS)
+    return hours_of(cells.groupBy("chunk", "hour", (F.col("user") % 100).alias("user"), "etype").agg(F.sum("n_events").alias("n_events")))
+
+
+add(
+    "local_partial_users",
+    lambda c: hours_of(c.grid("ge").scan(["chunk", "hour", "user", "etype", "n_events"], HOURS + " AND user > 20")),
+    f"WITH {GU} SELECT chunk, strftime(hour, '%Y-%m-%d %H') AS hour, \"user\", etype, n_events FROM gu WHERE hour >= TIMESTAMP '2024-01-05 06:30:00' AND hour < TIMESTAMP '2024-01-06 15:00:00' AND etype <= 2 AND \"user\" > 20",
+)
 
 
 add("chunks_touched", lambda c: (lambda g: g.local_boxes(g.plan(Q1)).select("chunk").distinct())(c.grid("g3")), f"{_MONTHS} SELECT chunk FROM m WHERE ship_month > TIMESTAMP '1997-01-01 00:15:00'")

@@ -51,3 +51,5 @@ G3 = f"g3 AS (SELECT {_LINE}, {_INNER}, COUNT(*) AS n_lines, {_PRICE}, {_SUM.for
 G4 = f"g4 AS (SELECT {_LINE}, l_tax AS level, CAST(round(l_tax * 100) AS INTEGER) AS level_ix, {_INNER}, COUNT(*) AS n_lines, {_PRICE}, MIN(l_partkey) AS part_min, COUNT(DISTINCT l_suppkey) AS supp_cnt FROM lineitem GROUP BY ALL)"
 GP = f"gp AS (SELECT strftime(o_orderdate, '%Y-%m') AS chunk, date_trunc('month', o_orderdate) AS order_month, CAST(c_nationkey AS DOUBLE) AS nation, c_nationkey AS nation_ix, CAST(p.k AS DOUBLE) AS prio, p.k AS prio_ix, COUNT(*) AS n_orders, {_SUM.format('o_totalprice')} AS price_sum, MAX(o_totalprice) AS price_max FROM orders JOIN customer ON o_custkey = c_custkey JOIN (SELECT o_orderpriority AS name, CAST(row_number() OVER (ORDER BY o_orderpriority) - 1 AS INTEGER) AS k FROM (SELECT DISTINCT o_orderpriority FROM orders)) p ON p.name = o_orderpriority GROUP BY ALL)"
 GE = f"ge AS (SELECT strftime(ts, '%Y-%m-%d') AS chunk, date_trunc('hour', ts) AS hour, CAST(user_id % 100 AS DOUBLE) AS \"user\", CAST(user_id % 100 AS INTEGER) AS user_ix, CAST(t.k AS DOUBLE) AS etype, t.k AS etype_ix, COUNT(*) AS n_events, {_SUM.format('value')} AS value_sum, MAX(value) AS value_max FROM events JOIN (SELECT event_type AS name, CAST(row_number() OVER (ORDER BY event_type) - 1 AS INTEGER) AS k FROM (SELECT DISTINCT event_type FROM events)) t ON t.name = event_type GROUP BY ALL)"
+#: The event grid itself; GE is its users grouped by the remainder of their ids.
+GU = f"gu AS (SELECT strftime(ts, '%Y-%m-%d') AS chunk, date_trunc('hour', ts) AS hour, CAST(u.user_id AS DOUBLE) AS \"user\", u.k AS user_ix, CAST(t.k AS DOUBLE) AS etype, t.k AS etype_ix, COUNT(*) AS n_events, {_SUM.format('value')} AS value_sum, MAX(value) AS value_max FROM events JOIN (SELECT user_id, CAST(row_number() OVER (ORDER BY user_id) - 1 AS INTEGER) AS k FROM (SELECT DISTINCT user_id FROM events WHERE user_id IS NOT NULL)) u ON u.user_id = events.user_id JOIN (SELECT event_type AS name, CAST(row_number() OVER (ORDER BY event_type) - 1 AS INTEGER) AS k FROM (SELECT DISTINCT event_type FROM events)) t ON t.name = event_type GROUP BY ALL)"

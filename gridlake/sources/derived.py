@@ -3,7 +3,7 @@
 g3  lineitem by month, quantity (stored 50 to 1) and discount
 g4  the same with tax as a level axis
 gp  orders and customers by month, nation and priority
-ge  events by day chunk: hours (several in a chunk, with gaps), user group, event type
+ge  events by day chunk: hours (several in a chunk, with gaps), user, event type
 gv  embeddings: one vector in a chunk, natively dense
 """
 
@@ -15,8 +15,8 @@ from pyspark.sql import functions as F
 from gridlake.model import Axis, GridSpec
 from gridlake.sources import store
 
-#: Users are grouped by their id modulo this, so the grid's size doesn't grow with them.
-USER_GROUPS = 100
+#: Users in a tile of the event grid: the grid grows with them, a tile doesn't.
+USER_TILE = 64
 
 QTY = Axis("qty", values=tuple(float(v) for v in range(50, 0, -1)))
 DISC = Axis("disc", values=tuple(i / 100 for i in range(11)))
@@ -77,16 +77,17 @@ def gp_cells(spark: SparkSession, sf_dir: str, priorities: tuple[str, ...] = PRI
     )
 
 
-def ge_cells(spark: SparkSession, sf_dir: str, types: tuple[str, ...] = EVENT_TYPES) -> DataFrame:
+def ge_cells(spark: SparkSession, sf_dir: str, users: tuple[int, ...], types: tuple[str, ...] = EVENT_TYPES) -> DataFrame:
     hour = F.date_trunc("hour", F.col("ts")).cast("timestamp_ntz")
-    return table(spark, sf_dir, "events").groupBy(F.expr("date_format(ts, 'yyyy-MM-dd')").alias("chunk_key"), hour.alias("hour"), (F.col("user_id") % USER_GROUPS).cast("int").alias("user_ix"), code("event_type", types).alias("etype_ix")).agg(
+    ranks = spark.createDataFrame([(u, k) for k, u in enumerate(users)], "user_id long, user_ix int")
+    return table(spark, sf_dir, "events").join(ranks, "user_id").groupBy(F.expr("date_format(ts, 'yyyy-MM-dd')").alias("chunk_key"), hour.alias("hour"), "user_ix", code("event_type", types).alias("etype_ix")).agg(
         F.count("*").alias("n_events"), money("value").alias("value_sum"), F.max("value").alias("value_max"),
     )
 
 
-def _names(spark: SparkSession, sf_dir: str, name: str, column: str) -> tuple[str, ...]:
-    """The codes of a coded axis: the column's few distinct values in order."""
-    return tuple(r[0] for r in table(spark, sf_dir, name).select(column).distinct().orderBy(column).collect())
+def _names(spark: SparkSession, sf_dir: str, name: str, column: str) -> tuple:
+    """The values of a coded axis: the column's distinct values in order."""
+    return tuple(r[0] for r in table(spark, sf_dir, name).select(column).dropna().distinct().orderBy(column).collect())
 
 
 def _ingest(spark: SparkSession, sf_dir: str, name: str, path: str) -> GridSpec:
@@ -102,9 +103,10 @@ def _ingest(spark: SparkSession, sf_dir: str, name: str, path: str) -> GridSpec:
         cells = gp_cells(spark, sf_dir, names)
         axes = (Axis(span, True, "timestamp_ntz"), Axis("nation", values=tuple(map(float, range(25)))), Axis("prio", values=tuple(map(float, range(len(names))))))
     elif name == "ge":
-        names, span, chunk_of, lens = _names(spark, sf_dir, "events", "event_type"), "hour", "date_format({0}, 'yyyy-MM-dd')", {"hour": 6}
-        cells = ge_cells(spark, sf_dir, names)
-        axes = (Axis(span, True, "timestamp_ntz"), Axis("user", values=tuple(map(float, range(USER_GROUPS)))), Axis("etype", values=tuple(map(float, range(len(names))))))
+        names, span, chunk_of, lens = _names(spark, sf_dir, "events", "event_type"), "hour", "date_format({0}, 'yyyy-MM-dd')", {"hour": 6, "user": USER_TILE}
+        users = _names(spark, sf_dir, "events", "user_id")
+        cells = ge_cells(spark, sf_dir, users, names)
+        axes = (Axis(span, True, "timestamp_ntz"), Axis("user", values=tuple(map(float, users))), Axis("etype", values=tuple(map(float, range(len(names))))))
     else:
         return _vectors(spark, sf_dir, path)
     variables = tuple((f.name, f.dataType.simpleString()) for f in cells.schema.fields if f.name not in ("chunk_key", span) and not f.name.endswith("_ix"))

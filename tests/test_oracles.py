@@ -56,3 +56,21 @@ def test_baselines_agree(spark):
     assert bl.no_elimination(grid, CELL, OVERLAPPING).count() > planned.count()
     assert planned.distinct().count() == planned.count()
     assert grid.scan(CELL, Q2).where(f"NOT ({Q2})").agg(F.count("*")).first()[0] == 0
+
+
+@pytest.mark.parametrize("name", ["ge_rows", "local_partial_chunk", "ge_user_rows", "local_partial_users"])
+def test_event_queries(spark, name):
+    """With more users than remainders of their ids."""
+    more = SF.replace("0.001", "0.01")
+    want = duckdb.execute(gq.oracle_sql()[name].replace("FROM events", f"FROM '{more}/events.parquet' events"))
+    columns = [d[0] for d in want.description]
+    got = gq.queries()[name](spark, more)
+    assert sorted(got.columns) == sorted(columns)
+    assert plain(got.collect(), got.columns) == plain(want.fetchall(), columns) != []
+
+
+def test_event_users_are_kept(spark):
+    more = SF.replace("0.001", "0.01")
+    want = duckdb.execute(f"SELECT COUNT(DISTINCT (date_trunc('hour', ts), user_id, event_type)), COUNT(DISTINCT user_id) FROM '{more}/events.parquet'").fetchone()
+    events = Grid(spark, grid_spec(spark, more, "ge")).rows()
+    assert (events.count(), events.select("user").distinct().count()) == want
