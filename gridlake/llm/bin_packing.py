@@ -4,7 +4,8 @@ Documents longer than a sequence are cut into full pieces, the first one shorter
 needed.  Pieces are dealt over shards by a hash, a shard holding some twenty thousand
 documents at any input size, and each shard is packed by itself: best fit decreasing,
 then moves, one-for-one and two-for-one exchanges between underfull bins.  Each step
-raises the sum of squared fills, so the emptiest bins drain until they vanish.
+raises the sum of squared fills, so the emptiest bins drain until they vanish.  The
+search ends where no step is left or the fewest bins that can hold all are reached.
 
 Defined results: null texts are empty and hold the separator only; repeated rows are
 packed separately; an empty table gives no rows; ties go by row order inside a shard.
@@ -28,8 +29,6 @@ CAPACITY = 2048
 SEPARATOR = (0).to_bytes(4, "little")
 #: Documents in a shard, about; a shard leaves one bin underfull as a rule.
 SHARD_DOCS = 20_000
-#: Times that the local search goes over all underfull bins at most.
-PASSES = 4
 
 PIECE = "doc_id long, piece int, start long, length long, ids_crc32 long, shard long"
 PACKED = "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long"
@@ -108,11 +107,12 @@ class Bins:
         return sum(map(bool, self.items))
 
 
-def improve(bins: Bins, passes: int = PASSES) -> None:
-    """Local search; every step raises the sum of squared fills."""
+def improve(bins: Bins) -> None:
+    """Local search to its end; every step raises the sum of squared fills."""
     sizes = bins.sizes
     least = math.ceil(sum(sizes) / bins.capacity)
-    for _ in range(passes):
+    changed = True
+    while changed:
         changed = False
         poor = sorted((b for b, own in enumerate(bins.items) if own and bins.left[b]), key=lambda b: -bins.left[b])
         if bins.used() <= least or len(poor) < 2:
@@ -143,6 +143,17 @@ def improve(bins: Bins, passes: int = PASSES) -> None:
                         return j
             return None
 
+        def two_for_one(a: int) -> tuple[list[int], int, list[int]] | None:
+            """A pair of the bin's items, another bin and its item to exchange; equal sums are tried once."""
+            own: dict[int, list[int]] = defaultdict(list)
+            for i in bins.items[a]:
+                own[sizes[i]].append(i)
+            sums = {s + t: (own[s][0], own[t][s == t]) for s in own for t in own if s < t or (s == t and len(own[s]) > 1)}
+            for total in sorted(sums):
+                if (j := partner(a, total)) is not None:
+                    return list(sums[total]), place[j], [j]
+            return None
+
         for a in poor:
             for i in sorted(bins.items[a], key=sizes.__getitem__, reverse=True):
                 if place.get(i) != a:
@@ -160,13 +171,9 @@ def improve(bins: Bins, passes: int = PASSES) -> None:
                 if j is not None:
                     swap(a, [i], place[j], [j])
                     changed = True
-            own = sorted(bins.items[a], key=sizes.__getitem__)
-            for i, k in zip(own, own[1:], strict=False):
-                if place.get(i) == a and place.get(k) == a and (j := partner(a, sizes[i] + sizes[k])) is not None:
-                    swap(a, [i, k], place[j], [j])
-                    changed = True
-        if not changed:
-            return
+            while (pair := two_for_one(a)) is not None:
+                swap(a, *pair)
+                changed = True
 
 
 def pack(sizes: list[int], capacity: int = CAPACITY) -> list[list[int]]:

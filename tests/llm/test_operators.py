@@ -1,6 +1,7 @@
 """Every operator against brute force or a round trip, on awkward texts and a small table."""
 
 import hashlib
+import itertools
 import random
 import re
 import zlib
@@ -267,6 +268,23 @@ def test_local_search_fills():
     assert len(bin_packing.pack([6, 5, 4, 3, 2], 10)) == 2
 
 
+def test_local_search_ends():
+    """No move or exchange that raises the squared fill is left, unless the bound is met."""
+    for seed in range(40):
+        rng = random.Random(seed)
+        sizes = [rng.randint(20, 70) for _ in range(120)]
+        bins = bin_packing.pack(sizes, 100)
+        if len(bins) == -(-sum(sizes) // 100):
+            continue
+        fill = [sum(sizes[i] for i in b) for b in bins]
+        for a, own in enumerate(bins):
+            out = {sizes[i] for i in own} | {sizes[i] + sizes[k] for i, k in itertools.combinations(own, 2)}
+            for b, other in enumerate(bins):
+                if a != b and fill[b] >= fill[a]:
+                    assert not any(0 < o - back <= 100 - fill[b] for o in out for back in {sizes[j] for j in other})
+                    assert not any(sizes[i] <= 100 - fill[b] for i in own)
+
+
 # --- pages ------------------------------------------------------------------------------
 
 
