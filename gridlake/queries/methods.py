@@ -264,20 +264,36 @@ SELECT part, MIN(lo) AS lo, MAX(lo + 30) AS hi FROM g GROUP BY part, run""",
 )
 
 
+#: Pieces at which the full split is not begun, and seconds that a run may be expected to take.
+MOST_PIECES, MOST_SECONDS = 300_000, 5.0
+
+
+def cover_times(kind: str, d: int, sizes) -> list[tuple]:
+    """Mean seconds of five runs, pieces and boxes of both covers on growing workloads.
+
+    The full split alone stops at a number of pieces.  Either stops where its last two
+    means let the next run be expected to take too long; nulls say so.
+    """
+    rows = []
+    for way, run in bx.COVERS.items():
+        means, over = [0.0, 0.0], False
+        for n in sizes:
+            boxes = bx.WORKLOADS[kind](n, d)
+            over = over or means[-1] * max(1.0, means[-1] / means[-2] if means[-2] > 0.001 else 2.0**d) > MOST_SECONDS
+            over = over or (way == "grid" and bx.predicted_pieces(boxes) > MOST_PIECES)
+            if over:
+                rows.append((kind, d, n, way, None, None, None))
+                continue
+            got = [run(boxes) for _ in range(5)]
+            means.append(sum(g.stats.seconds for g in got) / 5)
+            rows.append((kind, d, n, way, means[-1], got[0].stats.pieces, len(got[0].boxes)))
+    return rows
+
+
 @query("cover_bench")
 def cover_bench(c: Context) -> DataFrame:
-    """Seconds and pieces of both covers on all workloads; the full split stops at a bound."""
-    rows = []
-    for kind, make in bx.WORKLOADS.items():
-        for d in (1, 2, 3, 4):
-            for n in (4, 16, 64, 256):
-                boxes = make(n, d)
-                for way, run in bx.COVERS.items():
-                    if bx.predicted_pieces(boxes) > 100_000:
-                        rows.append((kind, d, n, way, None, None, None))
-                        continue
-                    got = run(boxes)
-                    rows.append((kind, d, n, way, got.stats.seconds, got.stats.pieces, len(got.boxes)))
+    """Seconds and pieces of both covers on all workloads, n from 2 to 2^16."""
+    rows = [r for kind in bx.WORKLOADS for d in (1, 2, 3, 4) for r in cover_times(kind, d, [1 << k for k in range(1, 17)])]
     return pairs(c, rows, "workload string, d int, n int, cover string, seconds double, pieces long, boxes long")
 
 

@@ -7,6 +7,7 @@ from itertools import product
 import pytest
 
 from gridlake.operators import boxes as bx
+from gridlake.queries.methods import cover_times
 
 EXAMPLE = [((361, 721), (360, 1440)), ((0, 360), (360, 1440)), ((0, 721), (360, 652)), ((0, 721), (656, 1440))]
 # Pieces, distinct pieces and cover of aligned, misaligned, diagonal, centred.
@@ -74,3 +75,9 @@ def test_split_lookups():
     tight = bx.split_lookups(box, 8, 8 * 100, allow_fastest=True)
     assert max(map(bx.volume, tight)) <= 100 and sum(map(bx.volume, tight)) == bx.volume(box)
     assert math.prod(len(range(*s)) for s in box) == bx.volume(box)
+
+
+def test_bench_keeps_the_sweep():
+    """Too many pieces for the full split stop the full split only."""
+    rows = {(n, way): pieces for _, _, n, way, _, pieces, _ in cover_times("diagonal", 3, (4, 64))}
+    assert rows[64, "grid"] is None and rows[4, "grid"] and rows[4, "sweep"] and rows[64, "sweep"]
