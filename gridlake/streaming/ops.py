@@ -49,13 +49,14 @@ def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
 
 
 def append_chunks(spark: SparkSession, path: str, root: str) -> DataFrame:
-    """Each micro-batch replaces the day chunks it holds, so a repeated batch changes nothing."""
+    """Each micro-batch adds to the day chunks it holds; a repeated batch replaces its own part only."""
 
-    def put(rows: DataFrame, _: int) -> None:
-        rows.withColumn("chunk_key", F.date_format("ts", "yyyy-MM-dd")).write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("chunk_key").parquet(f"{root}/chunks")
+    def put(rows: DataFrame, batch: int) -> None:
+        parts = rows.withColumn("chunk_key", F.date_format("ts", "yyyy-MM-dd")).withColumn("batch_id", F.lit(batch))
+        parts.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("chunk_key", "batch_id").parquet(f"{root}/chunks")
 
     events(spark, path).writeStream.foreachBatch(put).option("checkpointLocation", f"{root}/checkpoint").trigger(availableNow=True).start().awaitTermination()
-    return spark.read.parquet(f"{root}/chunks")
+    return spark.read.parquet(f"{root}/chunks").drop("batch_id")
 
 
 def tumbling(stream: DataFrame, width: str = "1 hour") -> DataFrame:
