@@ -10,6 +10,7 @@
 
 from __future__ import annotations
 
+import itertools
 import math
 import os
 import tempfile
@@ -24,6 +25,8 @@ from pyspark.sql import functions as F
 
 #: Upper bound of a broadcast Bloom filter, in bits (8 MB).
 BLOOM_MAX_BITS = 1 << 26
+#: Tasks that fill parts of a filter at once, at most.
+FILTER_TASKS = 512
 #: A row key that earlier steps have put beside the columns of the documents.
 RID = "__gridlake_rid"
 #: Text bytes that a kernel works on at once.
@@ -55,10 +58,34 @@ def shared_dir(spark: SparkSession) -> str:
         return named.rstrip("/")
     sc = spark.sparkContext
     if not sc._jsc.sc().getCheckpointDir().isDefined():
+        if not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="gridlake-checkpoints-"))
     return sc._jsc.sc().getCheckpointDir().get().rstrip("/")
 
 
+def _file(spark: SparkSession, path: str):
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), where
+
+
+#: Paths of results that were handed out; they are deleted when the application ends.
+_handed: list[str] = []
+
+
+def handed() -> int:
+    """A mark for ``release``."""
+    return len(_handed)
+
+
+def release(spark: SparkSession, mark: int) -> None:
+    """Deletes results handed out since the mark, once nothing reads them any more."""
+    for path in _handed[mark:]:
+        fs, where = _file(spark, path)
+        fs.delete(where, True)
+    del _handed[mark:]
+
+
 class Scratch:
     """Tables written for one run of an operator.
 
@@ -81,7 +108,11 @@ class Scratch:
         self.count += 1
         writer = df.write.mode("overwrite").option("compression", "zstd")
         (writer.partitionBy(partition_by) if partition_by else writer).parquet(path)
-        if not keep:
+        if keep:
+            fs, where = _file(self.spark, path)
+            fs.deleteOnExit(where)
+            _handed.append(path)
+        else:
             self.made.append((name, path))
         return self.spark.read.schema(df.schema).parquet(path)
 
@@ -89,10 +120,9 @@ class Scratch:
         return self.save(df, name, keep=True)
 
     def drop(self, *names: str) -> None:
-        jvm = self.spark.sparkContext._jvm
         for name, path in [m for m in self.made if not names or m[0] in names]:
-            where = jvm.org.apache.hadoop.fs.Path(path)
-            where.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+            fs, where = _file(self.spark, path)
+            fs.delete(where, True)
             self.made.remove((name, path))
 
     def __exit__(self, *_) -> None:
@@ -152,22 +182,37 @@ class IdFilter:
 
     @classmethod
     def of(cls, ids: DataFrame, column: str, count: int) -> IdFilter:
-        """Built from a column of ids; ``count`` only sizes it."""
+        """Built from a column of ids; ``count`` only sizes it.
+
+        Every task fills a filter of its own; where there are many, slices of them are
+        put together by other tasks, so the driver gets one filter's worth of bytes.
+        """
         log2 = min(int(math.log2(BLOOM_MAX_BITS)), max(12, math.ceil(math.log2(max(1, count) * 12))))
         hashes = max(1, min(4, round(0.7 * (1 << log2) / max(1, count))))  # fewer where bits are scarce
 
+        size = 1 << log2 >> 3
+        slices = max(1, size >> 17)
+
         def build(batches):
-            bits = np.zeros(1 << log2 >> 3, np.uint8)
+            bits = np.zeros(size, np.uint8)
             for b in batches:
                 got = b.column(0).to_numpy(zero_copy_only=False)
                 for s in cls.slots(got, log2, hashes):
                     np.bitwise_or.at(bits, (s >> np.uint64(3)).astype(np.int64), (1 << (s & np.uint64(7))).astype(np.uint8))
-            yield pa.RecordBatch.from_arrays([pa.array([bits.tobytes()], pa.binary())], ["bits"])
-
-        parts = ids.select(F.col(column).cast("long")).where(F.col(column).isNotNull()).coalesce(4).mapInArrow(build, "bits binary").collect()
-        total = np.zeros(1 << log2 >> 3, np.uint8)
-        for (b,) in parts:
-            total |= np.frombuffer(b, np.uint8)
+            for k, part in enumerate(np.split(bits, slices)):
+                yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([part.tobytes()], pa.binary())], ["slice", "bits"])
+
+        def together(t: pa.Table) -> pa.Table:
+            total = np.zeros(size // slices, np.uint8)
+            for x in t.column("bits").to_pylist():
+                total |= np.frombuffer(x, np.uint8)
+            return pa.table({"slice": t.column("slice").slice(0, 1), "bits": pa.array([total.tobytes()], pa.binary())})
+
+        few = ids.select(F.col(column).cast("long")).where(F.col(column).isNotNull()).coalesce(FILTER_TASKS)
+        merged = few.mapInArrow(build, "slice int, bits binary").groupBy("slice").applyInArrow(together, "slice int, bits binary")
+        total = np.zeros(size, np.uint8)
+        for k, bits in merged.collect():
+            total[k * (size // slices) : (k + 1) * (size // slices)] = np.frombuffer(bits, np.uint8)
         return cls(total, log2, hashes)
 
     def test(self, ids: np.ndarray) -> np.ndarray:
@@ -182,11 +227,14 @@ def components(s: Scratch, edges: DataFrame, rounds: int = 60) -> DataFrame:
 
     Alternates "all larger neighbours point to my smallest neighbour" and "all smaller
     ones do"; both steps are one aggregate and one join, and the number of rounds is
-    logarithmic.  Nothing is collected but a count and a checksum.
+    logarithmic.  Nothing is collected but a count and a checksum.  Labels that are still
+    moving after ``rounds`` rounds are an error, never a result.
     """
     e = s.save(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), "cc-0")
     last = None
-    for k in range(1, rounds):
+    for k in itertools.count(1):
+        if k > rounds:
+            raise RuntimeError(f"components did not settle in {rounds} rounds")
         both = e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()

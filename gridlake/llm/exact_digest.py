@@ -6,8 +6,9 @@ fingerprint; documents with equal fingerprints are grouped and their canonical b
 compared inside the bucket, so a group never rests on the hash alone.
 
 Defined results: a null text is the empty text and has that text's fingerprint; equal
-texts share a fingerprint; rows with equal ids are ordered by their text's hash; for a
-single document the next one is itself; an empty table gives no rows.
+texts share a fingerprint; rows with equal ids, or none, are ordered by their text's hash (nulls
+come first); for a single document the next one is itself; an empty table gives no rows;
+other columns are not read, whatever their names; a text is worked on as a whole.
 """
 
 from __future__ import annotations
@@ -70,7 +71,9 @@ def edit_report(s: Scratch, docs: DataFrame) -> DataFrame:
     partitions, one pair for each partition, are joined in a second small step.
     """
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    dealt = plain.repartitionByRange("doc_id").sortWithinPartitions("doc_id", F.xxhash64("text"))
+    # rows of one id, or without one, are parted by their texts and places, so none is hot
+    plain = plain.withColumns({"mark": F.xxhash64("text"), "place": F.monotonically_increasing_id()})
+    dealt = plain.repartitionByRange("doc_id", "mark", "place").sortWithinPartitions("doc_id", "mark", "place").select("doc_id", "text")
 
     def walk(batches):
         pid, first, last = TaskContext.get().partitionId(), None, None
@@ -130,12 +133,17 @@ def exact_groups(s: Scratch, docs: DataFrame) -> DataFrame:
             keep = some.test(batch.column(0).to_numpy(zero_copy_only=False))
             batch = batch.filter(pa.array(keep))
             texts = [canonical(t).encode("utf-8", "replace") for t in texts_of(batch.column(2))]
-            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array([xxhash.xxh3_128_hexdigest(t) for t in texts], pa.string()), pa.array([xxhash.xxh3_64_intdigest(t, seed=7) >> 1 for t in texts], pa.int64()), pa.array(texts, pa.binary())], ["doc_id", "fingerprint", "second", "body"])
-
-    sent = rows.mapInArrow(bodies, "doc_id long, fingerprint string, second long, body binary")
-    equal = sent.groupBy("fingerprint", "second", "body").agg(F.min("doc_id").alias("group_id"), F.count("*").alias("group_size")).drop("body")
-    equal = s.save(equal, "equal")
-    mixed = equal.groupBy("fingerprint", "second").count().where("count > 1").limit(1).count()
-    if mixed:
-        raise ValueError("two texts share both hashes; group by the canonical text instead")
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([xxhash.xxh3_128_hexdigest(t) for t in texts], pa.string()), pa.array([xxhash.xxh3_64_intdigest(t, seed=7) >> 1 for t in texts], pa.int64()), pa.array(texts, pa.binary())], ["rid", "doc_id", "fingerprint", "second", "body"])
+
+    sent = rows.mapInArrow(bodies, "rid long, doc_id long, fingerprint string, second long, body binary")
+    equal = sent.groupBy("fingerprint", "second", "body").agg(F.min("doc_id").alias("group_id"), F.count("*").alias("group_size"))
+    equal = s.save(equal.withColumn("exact", F.sha2("body", 256)).drop("body"), "equal")
+    shared = equal.groupBy("fingerprint", "second").agg(F.count("*").alias("bodies")).where("bodies > 1").select("fingerprint", "second")
+    if shared.limit(1).count():  # texts that share both hashes are told apart by their bytes
+        shared = s.save(shared, "shared")
+        apart = sent.join(F.broadcast(shared), ["fingerprint", "second"], "left_semi").select("rid", F.sha2("body", 256).alias("exact"))
+        own = table.join(apart, "rid", "left")
+        fits = (own["fingerprint"] == equal["fingerprint"]) & (own["second"] == equal["second"]) & (own["exact"].isNull() | (own["exact"] == equal["exact"]))
+        joined = own.join(equal, fits, "left").select("rid", "doc_id", own["fingerprint"], F.coalesce("group_id", "doc_id").alias("group_id"), F.coalesce("group_size", F.lit(1)).alias("group_size"))
+        return s.keep(joined, "groups")
     return s.keep(table.join(equal, ["fingerprint", "second"], "left").select("rid", "doc_id", "fingerprint", F.coalesce("group_id", "doc_id").alias("group_id"), F.coalesce("group_size", F.lit(1)).alias("group_size")), "groups")

@@ -1,23 +1,29 @@
 """Personal data by weak supervision, in DataFrame functions only.
 
-Candidates are what the base patterns match and what looser patterns match.  Labelers
-vote on each of them: a strict pattern, a gazetteer, the words before it and its shape.
-Expectation-maximisation over the counts of vote patterns (a bounded table) estimates how
-reliable each labeler is; its posteriors train a naive Bayes span classifier over features
-of the span, which decides the loose candidates.  Base matches always stay.
+Candidates are what the base patterns match, also where the base rule's test drops it, and
+what looser patterns of the same four kinds match.  Labelers vote on each of them: a strict
+test, a gazetteer, the words before it and its shape.  Expectation-maximisation over the
+counts of vote patterns (a bounded table) estimates how reliable each labeler is; its
+posteriors train a naive Bayes span classifier over votes and features of the span, which
+decides every candidate that is no base match.  Base matches always stay; a span that is
+added overlaps none of them.
 
 Defined results: a null text is empty and has no spans; positions are code points, end
 exclusive; rows are judged one by one, so repeated rows and nulls in other columns need no
-care; an empty table gives no rows; a kind without candidates has no model and adds none.
+care, and columns of any other name are kept by ``redacted`` and not read by ``report``; an
+empty table gives no rows; a kind without candidates has no model and adds none.  Texts of
+any length are scanned whole: no pattern repeats a group in a way that the engine answers
+by recursion or retries, and lists of matches are gone through in runs of the square root
+of their number, so the work on one text grows little more than its length.
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from gridlake.llm.common import Scratch
 
@@ -25,16 +31,25 @@ KINDS = ("email", "ip", "card", "phone")
 # The base patterns.  Lookbehinds and possessive loops only keep a failing
 # try from being repeated inside the same run; runs of digits outside 14 to 19 never match.
 BASE = {
-    "email": r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]+)+",
-    "ip": r"(?:\G|(?<![0-9]))[0-9]++\.[0-9]++\.[0-9]++\.[0-9]+",
+    "email": r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++",
+    "ip": r"(?:\G|(?<![0-9]))[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++",
     "card": r"(?<![0-9])(?<![0-9][\x20-])[0-9](?:[\x20-]?[0-9]){13,18}(?![\x20-]?[0-9])",
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 # Looser patterns, their candidates are decided by the classifier.
 LOOSE = {
-    "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}\x20?[\[(]at[\])]\x20?[A-Za-z0-9-]{1,63}(?:\x20?[\[(]dot[\])]\x20?[A-Za-z0-9-]{1,63}){1,4}",
+    "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+(?:\x20?[\[(]at[\])]\x20?[A-Za-z0-9-]{1,63}+(?:(?:\x20?[\[(]dot[\])]\x20?|\x20dot\x20|\.)[A-Za-z0-9-]{1,63}+){1,4}|\x20at\x20[A-Za-z0-9-]{1,63}+(?:\x20dot\x20[A-Za-z0-9-]{1,63}+){1,4})",
+    "ip": r"(?<![0-9.-])[0-9]{1,3}(?:(?:\x20?[\[(](?:\.|dot)[\])]\x20?[0-9]{1,3}){3}|(?:-[0-9]{1,3}){3})(?![0-9-])",
+    "card": r"(?<![0-9._/])[0-9]{4}(?:(?:[._/]|\x20\x20|\x20-\x20)[0-9]{4}){3}(?![0-9])",
     "phone": r"(?<![0-9+.)(-])\(?[0-9]{3}\)?[\x20.-][0-9]{3}[\x20.-][0-9]{4}(?![0-9-])",
 }
+# What a text with a match of the patterns above holds; quick to look for.
+HINT = {
+    "email": ("@", r"[\[(]at[\])]|\x20dot\x20"),
+    "ip": (r"[0-9]\.[0-9]", r"[0-9](?:-[0-9]|\x20?[\[(])"),
+    "card": (r"[0-9][0-9\x20-]{13}", r"[0-9]{4}[._/\x20]{1,2}[0-9-]"),
+    "phone": (r"\+[0-9]", r"[0-9]{3}\)?[\x20.-][0-9]{3}[\x20.-][0-9]"),
+}
 # Gazetteers and words that announce a kind.
 ENDINGS = ("com", "org", "net", "edu", "gov", "info", "io", "de", "fr", "es", "uk", "it", "nl", "eu")
 CALLING = ("1", "7", "20", "27", "30", "31", "32", "33", "34", "36", "39", "40", "41", "43", "44", "45", "46", "47", "48", "49", "52", "55", "61", "81", "82", "86", "91")
@@ -46,24 +61,63 @@ BEFORE = {
 }
 CONTEXT = 48
 ROUNDS = 25
+UNSURE = 0.1
 #: Working columns beside those of the documents.
 CANDIDATES, TAKEN = "__gridlake_candidates", "__gridlake_taken"
 
-SPAN = T.ArrayType(T.StructType([T.StructField("start", T.IntegerType()), T.StructField("body", T.StringType())]))
-CANDIDATE = "array<struct<kind:int,start:int,stop:int,base:boolean,strict:int,gazetteer:int,context:int,shape:int,length:int,before:string,after:string>>"
+MATCH = "struct<start:int,stop:int,body:string,ahead:string,behind:string>"
+CANDIDATE = "struct<start:int,stop:int,kind:int,base:boolean,strict:int,gazetteer:int,context:int,shape:int,length:int,before:string,after:string,reach:int,next:int>"
+#: Larger than any position.
+FAR = (1 << 31) - 1
+
+
+def let(value: Column, then: Callable[[Column], Column]) -> Column:
+    """``then(value)``, the value being worked out once."""
+    return F.get(F.transform(F.array(value), then), F.lit(0))
+
+
+def parts_of(xs: Column) -> Column:
+    """A list that is not empty as runs of about the square root of its number."""
+    size = F.ceil(F.sqrt(F.size(xs))).cast("int")
+    return let(size, lambda c: F.transform(F.sequence(F.lit(0), F.ceil(F.size(xs) / c).cast("int") - 1), lambda k: F.slice(xs, k * c + 1, c)))
+
+
+def scanned(xs: Column, zero: int, step: Callable, emit: Callable, kind: str) -> Column:
+    """``emit(state, x)`` for every ``x`` of a list, the state being what ``step`` made of ``zero``
+    over those before it.  Lists are only appended to inside a run, so a long one is cheap."""
+    made = f"struct<state:int,out:array<{kind}>>"
+
+    def one(acc: Column, x: Column) -> Column:
+        return F.struct(step(acc["state"], x).cast("int").alias("state"), F.array_append(acc["out"], emit(acc["state"], x).cast(kind)).alias("out"))
+
+    def run(done: Column, part: Column) -> Column:
+        state = F.coalesce(F.get(done, F.size(done) - 1)["state"], F.lit(zero))
+        return F.array_append(done, F.aggregate(part, F.struct(state.alias("state"), F.array().cast(f"array<{kind}>").alias("out")).cast(made), one))
+
+    def all_runs(own: Column) -> Column:
+        done = F.aggregate(parts_of(own), F.array().cast(f"array<{made}>"), run)
+        return F.when(F.size(own) > 0, F.flatten(F.transform(done, lambda r: r["out"]))).otherwise(F.array().cast(f"array<{kind}>"))
 
+    return let(xs, all_runs)
 
-def placed(text: Column, pattern: str) -> Column:
-    """Start and body of all matches: the lengths of what lies between them add up."""
-    bodies, between = F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), F.split(text, pattern, -1)
-    first = F.struct(F.lit(0).alias("at"), F.array().cast(SPAN).alias("out"))
 
-    def step(acc: Column, x: Column) -> Column:
-        start = acc["at"] + F.length(x["gap"])
-        return F.struct((start + F.length(x["body"])).alias("at"), F.array_append(acc["out"], F.struct(start.alias("start"), x["body"].alias("body"))).alias("out"))
+def placed(text: Column, pattern: str, hint: str) -> Column:
+    """All matches with their positions, the text before them and the character behind,
+    neither beyond a match next to them: the lengths of what lies between matches add up."""
 
-    pairs = F.zip_with(F.slice(between, 1, F.size(bodies)), bodies, lambda g, b: F.struct(g.alias("gap"), b.alias("body")))
-    return F.when(text.rlike(pattern), F.aggregate(pairs, first, step, lambda acc: acc["out"])).otherwise(F.array().cast(SPAN))
+    def joined(bodies: Column, between: Column) -> Column:
+        n = F.size(bodies)
+        both = F.arrays_zip(F.slice(between, 1, n).alias("gap"), bodies.alias("body"), F.slice(between, 2, n).alias("rest"))
+        sized = F.transform(both, lambda x: F.struct(
+            F.length(x["gap"]).alias("skip"), F.length(x["body"]).alias("size"), x["body"].alias("body"), F.right(x["gap"], F.lit(CONTEXT)).alias("ahead"), F.left(x["rest"], F.lit(1)).alias("behind"),
+        ))
+        return scanned(
+            sized, 0, lambda at, x: at + x["skip"] + x["size"],
+            lambda at, x: F.struct((at + x["skip"]).alias("start"), (at + x["skip"] + x["size"]).alias("stop"), x["body"].alias("body"), x["ahead"].alias("ahead"), x["behind"].alias("behind")), MATCH,
+        )
+
+    found = let(F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), lambda bodies: let(F.split(text, pattern, -1), lambda between: joined(bodies, between)))
+    return F.when(text.rlike(hint) & text.rlike(pattern), found).otherwise(F.array().cast(f"array<{MATCH}>"))
 
 
 def digits(body: Column) -> Column:
@@ -78,11 +132,12 @@ def luhn(body: Column) -> Column:
 
 
 def octets(body: Column) -> Column:
+    """Whether every number is at most 255."""
     def small(part: Column) -> Column:
         value = F.regexp_replace(part, "^0+", "")
         return F.when(F.length(value) > 3, F.lit(False)).when(value == "", F.lit(True)).otherwise(F.when(F.length(value) <= 3, value).otherwise("0").cast("int") <= 255)
 
-    return F.forall(F.split(body, r"\."), small)
+    return F.forall(F.regexp_extract_all(body, F.lit("[0-9]+"), F.lit(0)), small)
 
 
 def valid(kind: str, body: Column) -> Column:
@@ -96,10 +151,19 @@ def valid(kind: str, body: Column) -> Column:
     return F.lit(True)
 
 
+def strict(kind: str, body: Column) -> Column:
+    """The strict test of a loose candidate."""
+    if kind == "email":
+        return body.rlike(r"[\[(]at[\])]|\x20dot\x20") & body.rlike(r"[A-Za-z]{2,}$")
+    if kind == "phone":
+        return F.regexp_replace(body, "[^0-9]", "").rlike("^[2-9][0-9]{2}[2-9]")
+    return valid(kind, body)
+
+
 def gazetteer(kind: str, body: Column) -> Column:
     """1, 0 or -1 (no vote)."""
     if kind == "email":
-        return F.lower(F.regexp_extract(body, r"([A-Za-z]+)$", 1)).isin(*ENDINGS).cast("int")
+        return F.lower(F.regexp_extract(body, r"([A-Za-z]++)$", 1)).isin(*ENDINGS).cast("int")
     if kind == "phone":
         code = digits(body)
         known = F.lit(False)
@@ -113,7 +177,7 @@ def gazetteer(kind: str, body: Column) -> Column:
 
 def shape(kind: str, body: Column) -> Column:
     n = F.length(body)
-    low, high = {"email": (8, 60), "ip": (8, 15), "card": (14, 23), "phone": (11, 20)}[kind]
+    low, high = {"email": (8, 60), "ip": (7, 31), "card": (14, 25), "phone": (10, 20)}[kind]
     return n.between(low, high).cast("int")
 
 
@@ -121,26 +185,23 @@ def candidates(text: Column) -> Column:
     """All candidates of a text with the labelers' votes and the classifier's features."""
     out = []
     for number, kind in enumerate(KINDS):
-        out.append(F.transform(placed(text, BASE[kind]), judged(text, kind, number, True)))
-        if kind in LOOSE:
-            out.append(F.transform(placed(text, LOOSE[kind]), judged(text, kind, number, False)))
-    return F.concat(*out).cast(CANDIDATE)
+        out.append(F.transform(placed(text, BASE[kind], HINT[kind][0]), judged(kind, number, True)))
+        out.append(F.transform(placed(text, LOOSE[kind], HINT[kind][1]), judged(kind, number, False)))
+    return free(F.concat(*out).cast(f"array<{CANDIDATE}>"))
 
 
-def judged(text: Column, kind: str, number: int, base: bool):
+def judged(kind: str, number: int, base: bool) -> Callable[[Column], Column]:
     """What a match becomes: a candidate with its votes and features."""
 
     def candidate(x: Column) -> Column:
-        body, start = x["body"], x["start"]
-        stop = start + F.length(body)
-        ahead = F.substring(text, F.greatest(F.lit(1), start + 1 - CONTEXT), F.least(start, F.lit(CONTEXT)))
+        body = x["body"]
         ok = valid(kind, body) if base else F.lit(False)
         return F.struct(
-            F.lit(number).alias("kind"), start.alias("start"), stop.alias("stop"), ok.alias("base"),
-            ok.cast("int").alias("strict"), gazetteer(kind, body).alias("gazetteer"),
-            F.when(ahead.rlike(BEFORE[kind]), 1).otherwise(-1).alias("context"), shape(kind, body).alias("shape"),
+            x["start"].alias("start"), x["stop"].alias("stop"), F.lit(number).alias("kind"), ok.alias("base"),
+            (ok if base else strict(kind, body)).cast("int").alias("strict"), gazetteer(kind, body).alias("gazetteer"),
+            F.when(x["ahead"].rlike(BEFORE[kind]), 1).otherwise(-1).alias("context"), shape(kind, body).alias("shape"),
             F.least(F.lit(7), F.floor(F.length(body) / 4).cast("int")).alias("length"),
-            sort_of(F.substring(text, start, F.when(start > 0, 1).otherwise(0))).alias("before"), sort_of(F.substring(text, stop + 1, F.lit(1))).alias("after"),
+            sort_of(F.right(x["ahead"], F.lit(1))).alias("before"), sort_of(x["behind"]).alias("after"), F.lit(0).alias("reach"), F.lit(FAR).alias("next"),
         )
 
     return candidate
@@ -151,21 +212,25 @@ def sort_of(char: Column) -> Column:
     return F.when(char == "", "edge").when(char.rlike(r"\s"), "space").when(char.rlike("[0-9]"), "digit").when(char.rlike(r"\p{L}"), "letter").otherwise("other")
 
 
-def estimate(patterns: list[tuple[tuple[int, ...], int]], rounds: int = ROUNDS) -> dict[tuple[int, ...], float]:
+def estimate(patterns: list[tuple[tuple[int, ...], int]], sure: list[tuple[tuple[int, ...], int]] = (), rounds: int = ROUNDS) -> dict[tuple[int, ...], float]:
     """Posterior of each vote pattern by expectation-maximisation.
 
     Each labeler has a rate of voting yes on true and on false candidates; no vote says
-    nothing.  It starts from the share of yes votes.
+    nothing.  ``sure`` are patterns of candidates known to be true: where they are voted on,
+    they alone fix a labeler's rate on true candidates, so the others can't drag it to what
+    they are.  These start from their share of yes votes, scaled down by UNSURE if some are sure.
     """
-    post = {v: (sum(x == 1 for x in v) + 0.5) / (sum(x >= 0 for x in v) + 1) for v, _ in patterns}
+    doubt = UNSURE if sure else 1.0
+    post = {v: doubt * (sum(x == 1 for x in v) + 0.5) / (sum(x >= 0 for x in v) + 1) for v, _ in patterns}
+    known = sum(n for _, n in sure)
     for _ in range(rounds):
-        true = sum(post[v] * n for v, n in patterns) + 1
-        prior = true / (sum(n for _, n in patterns) + 2)
+        true = sum(post[v] * n for v, n in patterns) + known + 1
+        prior = true / (sum(n for _, n in patterns) + known + 2)
         rates = []
-        for k in range(len(patterns[0][0])):
+        for k in range(len((patterns or sure)[0][0])):
             rate = []
             for side in (True, False):
-                weight = [((post[v] if side else 1 - post[v]) * n, v[k]) for v, n in patterns if v[k] >= 0]
+                weight = [(n, v[k]) for v, n in sure if v[k] >= 0 and side] or [((post[v] if side else 1 - post[v]) * n, v[k]) for v, n in patterns if v[k] >= 0]
                 # a labeler is taken to be better than chance before anything is seen
                 rate.append((sum(w for w, x in weight if x == 1) + (2 if side else 1)) / (sum(w for w, _ in weight) + 3))
             rates.append(rate)
@@ -185,12 +250,12 @@ def fit(found: DataFrame) -> dict[tuple[int, str, str], float]:
     aggregates over it give tables whose sizes don't depend on the data's.
     """
     votes = ("strict", "gazetteer", "context", "shape")
-    seen = found.groupBy("kind", *votes).count().collect()
+    seen = found.groupBy("kind", "base", *votes).count().collect()
     posterior: dict[int, dict] = {}
     for kind in range(len(KINDS)):
-        own = [(tuple(r[v] for v in votes), r["count"]) for r in seen if r.kind == kind]
-        if own:
-            posterior[kind] = estimate(own)
+        own, sure = ([(tuple(r[v] for v in votes), r["count"]) for r in seen if r.kind == kind and r.base == known] for known in (False, True))
+        if own or sure:
+            posterior[kind] = estimate(own, sure)
     if not posterior:
         return {}
     p = F.lit(0.5)
@@ -200,7 +265,8 @@ def fit(found: DataFrame) -> dict[tuple[int, str, str], float]:
             for name, value in zip(votes, v, strict=True):
                 match &= F.col(name) == value
             p = F.when(match, F.lit(x)).otherwise(p)
-    names = ("length", "before", "after", "context", "gazetteer")
+    p = F.when(F.col("base"), F.lit(1.0)).otherwise(p)
+    names = ("length", "before", "after", *votes)
     said = F.explode(F.array(*[F.struct(F.lit(n).alias("name"), F.col(n).cast("string").alias("value")) for n in names]))
     sums = found.select("kind", p.alias("p"), said.alias("f")).groupBy("kind", "f.name", "f.value").agg(F.sum("p").alias("yes"), F.sum(1 - F.col("p")).alias("no")).collect()
     model: dict[tuple[int, str, str], float] = {}
@@ -215,23 +281,29 @@ def fit(found: DataFrame) -> dict[tuple[int, str, str], float]:
 
 
 def accepted(x: Column, model: dict[tuple[int, str, str], float]) -> Column:
-    """Base matches, and loose candidates that the classifier takes for true."""
+    """Base matches, and other candidates that the classifier takes for true."""
     score = F.lit(0.0)
     for (kind, name, value), w in model.items():
         same = x["kind"] == kind
         if name:
             same &= x[name].cast("string") == value
         score += F.when(same, F.lit(w)).otherwise(0.0)
-    known = F.lit(False)
-    for kind in sorted({k for k, _, _ in model if KINDS[k] in LOOSE}):
-        known |= x["kind"] == kind
-    return x["base"] | (known & (x["strict"] == 0) & (score > 0))
+    known = x["kind"].isin(*sorted({k for k, _, _ in model})) if model else F.lit(False)
+    return x["base"] | (known & (score > 0))
 
 
 def free(spans: Column) -> Column:
-    """Base spans, and added ones that overlap none of them."""
-    base = F.filter(spans, lambda x: x["base"])
-    return F.filter(spans, lambda x: x["base"] | ~F.exists(base, lambda b: (b["start"] < x["stop"]) & (x["start"] < b["stop"])))
+    """Candidates by position: base matches, and others that overlap none of them."""
+
+    def apart(own: Column) -> Column:
+        ahead = scanned(own, 0, lambda at, x: F.when(x["base"], F.greatest(at, x["stop"])).otherwise(at), lambda at, x: x.withField("reach", at), CANDIDATE)
+        back = scanned(F.reverse(ahead), FAR, lambda at, x: F.when(x["base"], F.least(at, x["start"])).otherwise(at), lambda at, x: x.withField("next", at), CANDIDATE)
+        return F.filter(F.reverse(back), lambda x: x["base"] | ((x["reach"] <= x["start"]) & (x["next"] >= x["stop"])))
+
+    def sorted_(own: Column) -> Column:
+        return let(F.array_sort(own), lambda xs: F.when(F.exists(xs, lambda x: ~x["base"]), apart(xs)).otherwise(xs))
+
+    return let(spans, lambda own: F.when(F.size(own) > 0, sorted_(own)).otherwise(own))
 
 
 def ordered(spans: Column) -> Column:
@@ -256,7 +328,7 @@ def report(s: Scratch, docs: DataFrame) -> DataFrame:
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     table = s.keep(with_candidates(plain).select("doc_id", CANDIDATES), "candidates")
     model = fit_table(table)
-    taken = table.withColumn("taken", free(F.filter(CANDIDATES, lambda x: accepted(x, model))))
+    taken = table.withColumn("taken", F.filter(CANDIDATES, lambda x: accepted(x, model)))
     taken = taken.select("doc_id", "taken", ordered(F.filter("taken", lambda x: x["base"])).alias("base"))
     numbers = F.transform("base", lambda x: x["kind"])
     counts = [(F.size(numbers) - F.size(F.array_remove(numbers, F.lit(n)))).cast("long").alias(f"n_{kind}") for n, kind in enumerate(KINDS)]
@@ -264,18 +336,24 @@ def report(s: Scratch, docs: DataFrame) -> DataFrame:
 
 
 def redacted(docs: DataFrame, model: dict[tuple[int, str, str], float]) -> DataFrame:
-    """``docs`` with every accepted span of ``text`` replaced by its kind in brackets.
+    """``docs`` (with CANDIDATES) with every accepted span of ``text`` replaced by its kind in
+    brackets.  Spans that overlap are replaced together under the first one's kind.
 
-    Spans that overlap are replaced together under the first one's kind.
+    The text is cut into one piece for each run of spans before each span's own is cut out.
     """
     names = F.array(*[F.lit(f"[{k.upper()}]") for k in KINDS])
-    first = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
+    text, piece = F.col("text").cast("string"), "struct<lo:int,hi:int,kind:int>"
+
+    def rebuilt(spans: Column) -> Column:
+        # the text kept before a span, none where an earlier span reaches over its start
+        cuts = scanned(spans, 0, lambda at, x: F.greatest(at, x["stop"]), lambda at, x: F.struct(at.alias("lo"), x["start"].alias("hi"), x["kind"].alias("kind")), piece)
+        return let(F.filter(cuts, lambda x: x["lo"] <= x["hi"]), lambda own: F.array_join(F.flatten(F.transform(parts_of(own), run)), ""))
 
-    def step(acc: Column, x: Column) -> Column:
-        gap = F.substring(F.col("text"), acc["at"] + 1, F.greatest(F.lit(0), x["start"] - acc["at"]))
-        out = F.when(x["start"] >= acc["at"], F.concat(acc["out"], gap, F.get(names, x["kind"]))).otherwise(acc["out"])
-        return F.struct(F.greatest(acc["at"], x["stop"]).alias("at"), out.alias("out"))
+    def run(part: Column) -> Column:
+        lo, hi = F.get(part, F.lit(0))["lo"], F.get(part, F.size(part) - 1)["hi"]
+        return let(F.substring(text, lo + 1, hi - lo), lambda body: F.transform(part, lambda x: F.concat(F.substring(body, x["lo"] - lo + 1, x["hi"] - x["lo"]), F.get(names, x["kind"]))))
 
-    taken = with_candidates(docs).withColumn(TAKEN, ordered(free(F.filter(CANDIDATES, lambda x: accepted(x, model)))))
-    done = F.aggregate(TAKEN, first, step, lambda acc: F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, F.length("text"))))
-    return taken.withColumn("text", F.when(F.size(TAKEN) > 0, done).otherwise(F.col("text"))).drop(CANDIDATES, TAKEN)
+    tail = F.array_max(F.transform(TAKEN, lambda x: x["stop"]))
+    taken = docs.withColumn(TAKEN, ordered(F.filter(CANDIDATES, lambda x: accepted(x, model))))
+    done = F.concat(rebuilt(F.col(TAKEN)), F.substring(text, tail + 1, F.length(text)))
+    return taken.withColumn("text", F.when(F.size(TAKEN) > 0, done).otherwise(text)).drop(CANDIDATES, TAKEN)

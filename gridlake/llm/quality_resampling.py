@@ -9,13 +9,17 @@ threshold that parts the labelled sample best.
 
 Defined results: a null or empty text has no n-grams and weight 0; documents whose id is
 null never count as labelled; ties of keys go to the smaller row key; without labels of
-both kinds every document is taken.
+both kinds every document is taken; rows that share an id are documents of their own, and
+of those with labels the first 2 * LABELLED by row key fit the threshold; an empty table
+gives no rows; other columns are not read, whatever their names; texts are worked on whole,
+a longer one than a chunk by itself.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -52,18 +56,17 @@ def labelled_sample(labels: DataFrame, most: int = LABELLED) -> dict[int, int]:
 
 def gram_counts(rows: DataFrame, sample: dict[int, int]) -> tuple[np.ndarray, np.ndarray]:
     """N-gram counts by bucket over all texts and over the target texts."""
-    good = np.array(sorted(k for k, q in sample.items() if q == 1), np.int64)
+    good = pa.array(sorted(k for k, q in sample.items() if q == 1), pa.int64())
 
     def count(batches):
         raw, target = np.zeros(BUCKETS, np.int64), np.zeros(BUCKETS, np.int64)
         for batch in batches:
-            ids = batch.column(0).to_numpy(zero_copy_only=False)
-            ids = np.nan_to_num(ids.astype(float), nan=-1).astype(np.int64) if ids.dtype.kind == "f" else ids
+            known = pc.is_in(batch.column(0), value_set=good, skip_nulls=True).to_numpy(zero_copy_only=False)
             data, offs = text_spans(batch.column(1))
             for lo, hi in doc_chunks(offs):
                 grams, doc = ngrams(data, offs[lo : hi + 1])
                 raw += np.bincount(grams, minlength=BUCKETS)
-                target += np.bincount(grams[np.isin(ids[lo:hi], good)[doc]], minlength=BUCKETS)
+                target += np.bincount(grams[known[lo:hi][doc]], minlength=BUCKETS)
         has = np.flatnonzero(raw)
         yield pa.RecordBatch.from_arrays([pa.array(has), pa.array(raw[has]), pa.array(target[has])], ["bucket", "raw", "target"])
 
@@ -156,7 +159,7 @@ def resample(s: Scratch, docs: DataFrame, labels: DataFrame, seed: int = SEED) -
     gumbel = -F.log(-F.log((bits + 0.5) / float(1 << 53)))
     scored = s.keep(scored.withColumn("gumbel_key", F.col("weight") / TEMPERATURE + gumbel), "scored")
     known = s.spark.createDataFrame(list(sample.items()) or [(None, None)], "doc_id long, quality int")
-    pairs = [(r.weight, r.quality) for r in scored.join(F.broadcast(known), "doc_id").select("weight", "quality").limit(2 * LABELLED).collect()]
+    pairs = [(r.weight, r.quality) for r in scored.join(F.broadcast(known), "doc_id").orderBy("rid").select("weight", "quality").limit(2 * LABELLED).collect()]
     at = threshold(pairs)
     if at is None:
         return scored.withColumn("selected", F.lit(True))
