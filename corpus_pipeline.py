@@ -1,73 +1,29 @@
 """The corpus pipeline: five stages over ``documents``, each written and read again.
 
-quality     importance resampling; documents that it rejects go
-near        exact Jaccard join; the first document of each component stays
-substrings  bytes of strings that repeat are removed from the texts
-private     personal data is replaced by its kind
-packed      what is left is packed into token sequences (the last stage's rows)
+The stages and what they give for nulls, empty texts, ties, repeated rows, empty tables
+and further columns are in ``gridlake.llm.stages``.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
-from gridlake.llm import bin_packing, jaccard_join, pii_supervision, quality_resampling, substring_dedup
-from gridlake.llm.common import RID, Scratch, numbered
-from gridlake.llm.queries import tokenizer
+from gridlake.llm.common import Scratch, handed, release
+from gridlake.llm.stages import STAGES
 
-
-def _counted(docs: DataFrame, columns: list[str]) -> DataFrame:
-    """The columns of the documents, ``n_chars`` as the text is now."""
-    if "n_chars" in columns:
-        docs = docs.withColumn("n_chars", F.length("text").cast("long"))
-    return docs.select(*columns)
-
-
-def _chosen(docs: DataFrame, kept: DataFrame, columns: list[str]) -> DataFrame:
-    return docs.join(kept.select(F.col("rid").alias(RID)), RID, "left_semi").select(*columns)
-
-
-def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    with Scratch(spark, "quality") as s:
-        rows = numbered(s, docs)
-        scored = quality_resampling.resample(s, rows, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-        return _chosen(rows, scored.where("selected"), docs.columns)
-
-
-def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    with Scratch(spark, "near") as s:
-        rows = numbered(s, docs)
-        return _chosen(rows, jaccard_join.join_components(s, rows).where("rid = first_rid"), docs.columns)
-
-
-def substrings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    with Scratch(spark, "substrings") as s:
-        rows = numbered(s, docs)
-        cut = substring_dedup.dedup(s, rows, texts=True).where("n_removed > 0").select(F.col("rid").alias(RID), F.col("kept").alias("__gridlake_kept"))
-        return _counted(rows.join(cut, RID, "left").withColumn("text", F.coalesce("__gridlake_kept", "text")), docs.columns)
-
-
-def private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    with Scratch(spark, "private") as s:
-        found = pii_supervision.with_candidates(docs.select("text")).select(pii_supervision.CANDIDATES)
-        model = pii_supervision.fit_table(s.save(found, "candidates"))
-        return _counted(pii_supervision.redacted(docs, model), docs.columns)
-
-
-def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return bin_packing.pack_documents(docs, tokenizer())
-
-
-STAGES = [("quality classifier", quality), ("n-gram Jaccard join", near), ("suffix-array dedup", substrings), ("PII", private), ("best-fit packing", packed)]
 #: SQL can't express byte-pair encoding or the local search; tests compare with brute force.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The rows of the last stage."""
+    """The rows of the last stage; what a stage left behind goes once the next is written."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     with Scratch(spark, "pipeline") as s:
+        last = len(STAGES) - 1
         for k, (_, stage) in enumerate(STAGES):
-            docs = s.keep(stage(spark, docs, sf_dir), f"stage-{k}")
+            mark = handed()
+            rows = stage(spark, docs, sf_dir)
+            docs = s.save(rows, f"stage-{k}") if k < last else s.keep(rows, f"stage-{k}")
+            release(spark, mark) if k < last else None
+            s.drop(f"stage-{k - 1}")
     return docs
