@@ -2,22 +2,28 @@
 
 A document's set holds its distinct five-word shingles (64-bit hashes).  The join
 
-1. collapses equal sets into classes,
-2. lets classes that share several min-wise keys compare themselves with one leader;
-   those that are similar inherit the leader's component, and pairs inside a component
-   are never looked at again (answers derived from a highly similar set's answers),
-3. joins what may still link different components through an inverted index on prefixes,
+1. collapses texts with the same words into classes, and gives classes with equal sets one
+   representative,
+2. compares representatives that share several min-wise keys with one leader.  The answer,
+   the number of common shingles, is kept: it says how far a set is from its leader,
+3. finds what may still link different components through an inverted index on prefixes,
    rarest shingles first.  An index list is kept in blocks by set size; inside a block the
    entries are ordered by the shingle's position, so the rest of a block is skipped once
    the position proves that too few shingles remain, and blocks of other components and
-   sizes out of range are skipped whole,
-4. verifies every candidate on the full sets.
+   sizes out of range are skipped whole.  A long list is cut into tiles for several tasks,
+4. derives the answers of sets that are close to a leader from the leader's: of two
+   candidates only their leaders are intersected, and the shingles by which each differs
+   from its leader bound what the two can have in common; most pairs need no more,
+5. compares what remains.  A link rests on the words: where two texts are found similar by
+   hashes, their words and shingles are compared byte by byte first.
 
-Nothing is capped: keys and leaders only decide what step 3 need not see.
+Nothing is capped: keys and leaders only decide what steps 3 and 4 need not see.
 
 Defined results: a null or blank text has the empty set, links with nothing and is its own
 component; repeated rows are documents of their own; a null id takes no part in the
-smallest id of a component unless it stands alone; an empty table gives no rows.
+smallest id of a component unless it stands alone; an empty table gives no rows; other
+columns are not read, whatever their names; a text is worked on as a whole, however long.
+Two different shingles of one text count as one if their 64-bit hashes are equal.
 """
 
 from __future__ import annotations
@@ -30,7 +36,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridlake.llm.common import IdFilter, Scratch, components, doc_chunks, keyed, text_spans
-from gridlake.llm.textkernels import shingle_hashes, word_hashes
+from gridlake.llm.textkernels import Words, plain_texts, shingle_hashes, similar, word_hashes
 
 #: Similarity in hundredths.
 THRESHOLD = 80
@@ -42,11 +48,17 @@ KEYS_SHARED = 4
 #: doubled until the shingles fit into a Bloom filter of bounded size.
 SHARED, SHARED_MOST = 2, 40_000_000
 #: Shingles in at least so many sets are ordered by count, the most frequent ones at most.
-FREQUENT, FREQUENT_MOST = 64, 1 << 20
+FREQUENT, FREQUENT_MOST = 64, 1 << 18
 #: Bits of a hash that frequencies are counted by.
 COUNT_BITS = 40
 #: Values that a task sorts at once while counting.
 COUNT_CHUNK = 1 << 20
+#: Documents whose counts, or index lists, make one group.
+BUCKET_DOCS = 2048
+#: Entries of an index list that one task goes through at once, about half of it.
+TILE_ROWS = 4000
+#: Copies of a row that is joined with a hot key.
+SALTS = 16
 #: Members that one task compares with a leader, about.
 SALT_ROWS = 4000
 
@@ -79,42 +91,52 @@ def unpressed(blob: bytes) -> np.ndarray:
     return np.cumsum(np.ascontiguousarray(planes.T).view(np.uint64).ravel())
 
 
+def by_bucket(high: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets that ascending 32-bit values fall into, and where each begins (len + 1)."""
+    own = (high * np.uint64(buckets)) >> np.uint64(32)
+    cut = np.flatnonzero(np.concatenate(([True], own[1:] != own[:-1], [True])))
+    return own[cut[:-1]].astype(np.int64), cut
+
+
 def summaries(rows: DataFrame, buckets: int) -> DataFrame:
-    """For each document its size, digest and keys; for each task its counts of shingles."""
+    """For each document its size, digests of its words and its set, and keys; for each task
+    its counts of shingles."""
 
     def run(batches):
         shift = np.uint64(64 - COUNT_BITS)
-        names = ["rid", "doc_id", "n", "digest", "keys", "bucket", "values", "counts"]
-        types = [pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.list_(pa.int64()), pa.int64(), pa.binary(), pa.binary()]
+        names = ["rid", "doc_id", "n", "digest", "set", "keys", "bucket", "values", "counts"]
+        types = [pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.list_(pa.int64()), pa.int64(), pa.binary(), pa.binary()]
         seen: set[bytes] = set()
         held, size = [], 0
 
         def flush():
             values, counts = np.unique(np.concatenate(held), return_counts=True)
-            edges = np.searchsorted(values, np.array([(b << COUNT_BITS) // buckets for b in range(1, buckets)], np.uint64))
-            out = [(None, None, None, None, None, b, pressed(v), zstandard.compress(c.astype(np.uint32).tobytes(), 1)) for b, (v, c) in enumerate(zip(np.split(values, edges), np.split(counts, edges), strict=True)) if len(v)]
+            found, cut = by_bucket(values >> np.uint64(COUNT_BITS - 32), buckets)
+            out = [(*[None] * 6, b, pressed(values[lo:hi]), zstandard.compress(counts[lo:hi].astype(np.uint32).tobytes(), 1)) for b, lo, hi in zip(found.tolist(), cut[:-1].tolist(), cut[1:].tolist(), strict=True)]
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), types, strict=True)], names)
 
         for batch in batches:
             data, offs = text_spans(batch.column(2))
-            n, digests, keys = [], [], []
+            n, digests, sets, keys = [], [], [], []
+            for lo, hi in doc_chunks(offs):
+                digests += map(xxhash.xxh3_128_digest, plain_texts(data, offs[lo : hi + 1]))
             for own in sets_of(data, offs):
                 n.append(len(own))
-                digests.append(xxhash.xxh3_128_digest(own.tobytes()))
+                sets.append(xxhash.xxh3_128_digest(own.tobytes()))
                 keys.append(min_wise(own))
-                if len(own) and digests[-1] not in seen:  # copies count once in a task
-                    seen.add(digests[-1])
+                if len(own) and sets[-1] not in seen:  # copies count once in a task
+                    seen.add(sets[-1])
                     held.append(own >> shift)
                     size += len(own)
             none = len(n)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(n, pa.int64()), pa.array(digests, pa.binary()), pa.array(keys, types[4]), *(pa.nulls(none, t) for t in types[5:])], names)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, t) for c, t in zip((n, digests, sets, keys), types[2:6], strict=True)), *(pa.nulls(none, t) for t in types[6:])], names)
             if size >= COUNT_CHUNK:
                 yield flush()
                 held, size = [], 0
         if held:
             yield flush()
 
-    return rows.mapInArrow(run, "rid long, doc_id long, n long, digest binary, keys array<long>, bucket long, values binary, counts binary")
+    return rows.mapInArrow(run, "rid long, doc_id long, n long, digest binary, set binary, keys array<long>, bucket long, values binary, counts binary")
 
 
 class Order:
@@ -179,28 +201,24 @@ def posting_lists(rows: DataFrame, classes: IdFilter, arrange: Order, buckets: i
             pos = np.concatenate([np.arange(m, dtype=np.int32) for m in lens])
             order = np.argsort(keys)
             keys = keys[order]
-            edges = np.searchsorted(keys, np.array([(b << 64) // buckets for b in range(1, buckets)], np.uint64))
+            found, cut = by_bucket(keys >> np.uint64(32), buckets)
             out = []
-            for b, part in enumerate(np.split(np.arange(len(keys)), edges)):
-                if len(part):
-                    o = order[part]
-                    out.append((b, pressed(keys[part]), rids[o].tobytes(), ns[o].tobytes(), pos[o].tobytes()))
+            for b, lo, hi in zip(found.tolist(), cut[:-1].tolist(), cut[1:].tolist(), strict=True):
+                o = order[lo:hi]
+                out.append((b, pressed(keys[lo:hi]), rids[o].tobytes(), ns[o].tobytes(), pos[o].tobytes()))
             return pa.RecordBatch.from_arrays([pa.array(c, pa.int64() if k == 0 else pa.binary()) for k, c in enumerate(zip(*out, strict=True))], names)
 
-        seen: set[bytes] = set()
         held, size = [], 0
         for batch in batches:
             batch = batch.filter(pa.array(classes.test(batch.column(0).to_numpy(zero_copy_only=False))))
             data, offs = text_spans(batch.column(1))
             for rid, own in zip(batch.column(0).to_pylist(), sets_of(data, offs), strict=True):
-                digest = xxhash.xxh3_128_digest(own.tobytes())
-                if len(own) and digest not in seen:
-                    seen.add(digest)
+                if len(own):
                     held.append((rid, len(own), prefix(own, arrange, threshold)))
                     size += len(held[-1][2])
-            if size >= COUNT_CHUNK // 2:
-                yield flush(held)
-                held, size = [], 0
+                if size >= COUNT_CHUNK // 2:
+                    yield flush(held)
+                    held, size = [], 0
         if held:
             yield flush(held)
 
@@ -218,11 +236,14 @@ def posting_lists(rows: DataFrame, classes: IdFilter, arrange: Order, buckets: i
     return blobs.groupBy("bucket").applyInArrow(lists, "key long, rid long, n int, pos int")
 
 
-def list_pairs(key, rid, n, pos, comp, threshold: int):
-    """Candidate pairs of one index list, its entries ordered by size and position."""
+def list_pairs(rid, n, pos, comp, part, threshold: int):
+    """Candidate pairs of one index list, its entries ordered by size and position.
+
+    Pairs of one component are skipped, and of one part where several are given.
+    """
     m = len(rid)
     if m == 2:
-        if comp[0] == comp[1] or 100 * int(n[0]) < threshold * int(n[1]):
+        if comp[0] == comp[1] or (part is not None and part[0] == part[1]) or 100 * int(n[0]) < threshold * int(n[1]):
             return
         need = -(-threshold * int(n[0] + n[1]) // (100 + threshold))
         if min(n[0] - pos[0], n[1] - pos[1]) >= need:
@@ -241,23 +262,34 @@ def list_pairs(key, rid, n, pos, comp, threshold: int):
                 continue
             # behind this position too few shingles remain: skip the rest of the block
             hi = lo + int(np.searchsorted(pos[lo:hi], int(sizes[b]) - need, "right"))
-            others = np.flatnonzero(comp[lo:hi] != comp[i]) + lo
+            others = comp[lo:hi] != comp[i]
+            if part is not None:
+                others &= part[lo:hi] != part[i]
+            others = np.flatnonzero(others) + lo
             if len(others):
                 yield np.full(len(others), rid[i]), rid[others]
 
 
-def candidates(lists: DataFrame, threshold: int) -> DataFrame:
-    """Pairs of sets of different components that the index can't rule out."""
-    mixed = lists.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("key")
-    dealt = lists.join(mixed, "key", "left_semi").repartition("key").sortWithinPartitions("key", "n", "pos", "rid")
+def candidates(lists: DataFrame, threshold: int, tile: int = TILE_ROWS) -> DataFrame:
+    """Pairs of sets of different components that the index can't rule out.
+
+    A list with more than ``tile`` entries is dealt over parts by a hash of the set, and
+    every two parts meet in a task of their own.
+    """
+    mixed = lists.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.ceil(F.count("*") / tile).alias("tiles")).where("lo < hi").select("key", "tiles")
+    parted = lists.join(mixed, "key").withColumn("part", F.pmod(F.xxhash64("rid"), F.col("tiles")))
+    parted = parted.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("tiles") - 1)))
+    parted = parted.select("key", F.least("part", "other").alias("one"), F.greatest("part", "other").alias("two"), "rid", "n", "pos", "comp", "part")
+    dealt = parted.repartition("key", "one", "two").sortWithinPartitions("key", "one", "two", "n", "pos", "rid")
 
     def run(batches):
         def pairs(cols):
-            key = cols[0]
-            cuts = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1], [True])))
+            key, one, two = cols[:3]
+            cuts = np.flatnonzero(starts(key, one, two, [True]))
             left, right = [], []
             for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
-                for x, y in list_pairs(*(c[a:b] for c in cols), threshold):
+                rid, n, pos, comp, part = (c[a:b] for c in cols[3:])
+                for x, y in list_pairs(rid, n, pos, comp, part if one[a] != two[a] else None, threshold):
                     left.append(x)
                     right.append(y)
             if left:
@@ -265,6 +297,9 @@ def candidates(lists: DataFrame, threshold: int) -> DataFrame:
                 both = np.unique(np.stack([np.minimum(x, y), np.maximum(x, y)]), axis=1)
                 yield pa.RecordBatch.from_arrays([pa.array(both[0]), pa.array(both[1])], ["a", "b"])
 
+        def starts(key, one, two, end):
+            return np.concatenate(([True], (key[1:] != key[:-1]) | (one[1:] != one[:-1]) | (two[1:] != two[:-1]), end))
+
         rest = None
         for batch in batches:
             cols = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
@@ -272,20 +307,21 @@ def candidates(lists: DataFrame, threshold: int) -> DataFrame:
                 cols = [np.concatenate(p) for p in zip(rest, cols, strict=True)]
             if not len(cols[0]):
                 continue
-            cut = int(np.searchsorted(cols[0], cols[0][-1]))  # the last list may go on
+            cut = int(np.flatnonzero(starts(*cols[:3], []))[-1])  # the last list may go on
             if cut:
                 yield from pairs([c[:cut] for c in cols])
             rest = [c[cut:] for c in cols]
         if rest is not None and len(rest[0]):
             yield from pairs(rest)
 
-    return dealt.select("key", "rid", "n", "pos", "comp").mapInArrow(run, "a long, b long").distinct()
+    return dealt.mapInArrow(run, "a long, b long").distinct()
 
 
 def verified(s: Scratch, rows: DataFrame, pairs: DataFrame, threshold: int, name: str) -> DataFrame:
-    """The pairs ``(a, b)`` whose sets are similar enough.
+    """``a, b, n_a, n_b, common, linked`` of all pairs ``(a, b)``: the common shingles, and
+    whether the sets of words are similar enough.
 
-    Each set is sent to the tasks of the leaders it is compared with; a leader with many
+    Each text is sent to the tasks of the leaders it is compared with; a leader with many
     members is sent to several tasks.
     """
     pairs = s.save(pairs, f"{name}-pairs")
@@ -296,38 +332,54 @@ def verified(s: Scratch, rows: DataFrame, pairs: DataFrame, threshold: int, name
     ids = routes.select("rid").distinct()
     wanted = IdFilter.of(ids, "rid", ids.count())
 
-    def sets(batches):
+    def chosen(batches):
         for batch in batches:
-            batch = batch.filter(pa.array(wanted.test(batch.column(0).to_numpy(zero_copy_only=False))))
-            data, offs = text_spans(batch.column(1))
-            for start in range(0, batch.num_rows, 2000):
-                part = offs[start : start + 2001]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(start, 2000), pa.array([x.tobytes() for x in sets_of(data, part)], pa.binary())], ["rid", "hashes"])
+            yield batch.filter(pa.array(wanted.test(batch.column(0).to_numpy(zero_copy_only=False))))
 
-    sent = routes.join(rows.select("rid", "text").mapInArrow(sets, "rid long, hashes binary"), "rid")
+    sent = routes.join(rows.select("rid", F.col("text").cast("binary").alias("body")).mapInArrow(chosen, "rid long, body binary"), "rid")
     dealt = sent.withColumn("member", F.col("rid") != F.col("lead")).repartition("lead", "salt").sortWithinPartitions("lead", "salt", "member")
 
     def compare(batches):
         lead, own = None, None
         for batch in batches:
-            a, b = [], []
-            hashes = batch.column(3)
+            out = []
+            bodies = batch.column(3)
             for k, (at, salt, rid) in enumerate(zip(*(batch.column(c).to_pylist() for c in (0, 1, 2)), strict=True)):
-                other = np.frombuffer(hashes[k].as_buffer(), np.uint64)
+                text = Words(bodies[k].as_buffer())
                 if rid == at:
-                    lead, own = (at, salt), other.copy()
+                    lead, own = (at, salt), text
                     continue
                 assert lead == (at, salt)
-                small, large = (own, other) if len(own) <= len(other) else (other, own)
-                if 100 * len(small) < threshold * len(large):
-                    continue
-                common = int((np.take(large, np.searchsorted(large, small), mode="clip") == small).sum())
-                if 100 * common >= threshold * (len(own) + len(other) - common):
-                    a.append(at)
-                    b.append(rid)
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+                common, linked = similar(own, text, threshold)
+                out.append((at, rid, len(own.set), len(text.set), common, linked))
+            cols = list(zip(*out, strict=True)) or [[]] * 6
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64() if k < 5 else pa.bool_()) for k, c in enumerate(cols)], ["a", "b", "n_a", "n_b", "common", "linked"])
+
+    got = dealt.select("lead", "salt", "rid", "body").mapInArrow(compare, "a long, b long, n_a long, n_b long, common long, linked boolean")
+    return s.save(got, f"{name}-answers")
+
+
+def derived(s: Scratch, rows: DataFrame, pairs: DataFrame, led: DataFrame, threshold: int) -> tuple[DataFrame, DataFrame]:
+    """The links among leaders of candidate ``pairs (a, b)``, and the other pairs with what
+    their leaders have in ``common`` and what both add (``more``).
+
+    ``led``: answers of the leaders.  A set close to one stands behind it with the number
+    of shingles that it has beyond it; two sets have at most as many in common as their
+    leaders have, and those, so most pairs need not be compared themselves.
+    """
+    behind = led.where("linked").groupBy(F.col("b").alias("rid")).agg(F.max_by(F.struct("a", (F.col("n_b") - F.col("common")).alias("more"), F.col("n_b").alias("n")), F.struct("common", "a")).alias("l"))
+    behind = s.save(behind.select("rid", F.col("l.a").alias("lead"), "l.more"), "behind")
+
+    def ends(x: DataFrame, side: str) -> DataFrame:
+        own = behind.select(F.col("rid").alias(side), F.col("lead").alias(f"lead_{side}"), F.col("more").alias(f"more_{side}"))
+        return x.join(own, side, "left").withColumns({f"lead_{side}": F.coalesce(f"lead_{side}", side), f"more_{side}": F.coalesce(f"more_{side}", F.lit(0).cast("long"))})
 
-    return s.save(dealt.select("lead", "salt", "rid", "hashes").mapInArrow(compare, "a long, b long"), f"{name}-links")
+    placed = ends(ends(pairs, "a"), "b")
+    placed = placed.withColumn("p", F.least("lead_a", "lead_b")).withColumn("q", F.greatest("lead_a", "lead_b"))
+    placed = s.save(placed.select("a", "b", "p", "q", (F.col("more_a") + F.col("more_b")).alias("more"), ((F.col("lead_a") == F.col("a")) & (F.col("lead_b") == F.col("b"))).alias("own")), "placed")
+    answers = verified(s, rows, placed.where("p < q").select(F.col("p").alias("a"), F.col("q").alias("b")).distinct(), threshold, "bases")
+    known = answers.select(F.col("a").alias("p"), F.col("b").alias("q"), "n_a", "n_b", "common", "linked")
+    return answers.where("linked"), placed.where("NOT own").join(known, ["p", "q"], "left")
 
 
 def leader_pairs(sets: DataFrame) -> DataFrame:
@@ -340,23 +392,39 @@ def leader_pairs(sets: DataFrame) -> DataFrame:
     return shared.where(F.col("keys") >= F.least(F.lit(KEYS_SHARED), F.col("own"))).select("a", "b")
 
 
-def join_components(s: Scratch, docs: DataFrame, threshold: int = THRESHOLD, shared: int = SHARED, frequent: int = FREQUENT, most: int = FREQUENT_MOST) -> DataFrame:
+def join_components(s: Scratch, docs: DataFrame, threshold: int = THRESHOLD, shared: int = SHARED, frequent: int = FREQUENT, most: int = FREQUENT_MOST, tile: int = TILE_ROWS) -> DataFrame:
     """``rid, doc_id, n_shingles, component_id, first_rid`` of every document."""
     rows = keyed(s, docs)
-    buckets = max(1, min(4096, rows.count() // 2048))
+    buckets = max(1, rows.count() // BUCKET_DOCS)
     both = s.save(summaries(rows, buckets), "summaries")
-    sets = s.save(both.where("bucket IS NULL").select("rid", "doc_id", "n", "digest", "keys"), "sets")
+    sets = s.save(both.where("bucket IS NULL").select("rid", "doc_id", "n", "digest", "set", "keys"), "sets")
     arrange = shingle_order(s, both.where("bucket IS NOT NULL").select("bucket", "values", "counts"), shared, frequent, most)
     s.drop("summaries")
-    classes = s.save(sets.where("n > 0").groupBy("digest").agg(F.min_by(F.struct("rid", "n", "keys"), "rid").alias("c")).select("c.rid", "c.n", "c.keys", "digest"), "classes")
-    leaders = verified(s, rows, leader_pairs(classes), threshold, "lead")
+    classes = s.save(sets.where("n > 0").groupBy("digest").agg(F.min_by(F.struct("rid", "n", "set", "keys"), "rid").alias("c")).select("c.*", "digest"), "classes")
+    first = classes.groupBy("set").agg(F.min_by(F.struct("rid", "n", "keys"), "rid").alias("c")).select("c.*", "set")
+    first = s.save(first, "representatives")
+    twins = classes.select("set", F.col("rid").alias("b")).join(first.select("set", F.col("rid").alias("a")), "set").where("a <> b").select("a", "b")
+    led = verified(s, rows, leader_pairs(first).union(twins), threshold, "lead")
+    leaders = led.where("linked").select("a", "b")
     near = s.save(components(s, leaders), "near")
-    lists = posting_lists(rows, IdFilter.of(classes, "rid", classes.count()), arrange, buckets, threshold)
-    # a copy that another task let through the filter stands for its own class here
-    lists = s.save(lists.join(near, "rid", "left").withColumn("comp", F.coalesce("comp", "rid")), "lists")
-    rest = verified(s, rows, candidates(lists, threshold), threshold, "rest")
+    # a set that equals its representative's in hashes alone stands for itself
+    odd = twins.join(led.where("linked"), ["a", "b"], "left_anti").select(F.col("b").alias("rid"))
+    indexed = first.select("rid").union(odd).join(near, "rid", "left").withColumn("comp", F.coalesce("comp", "rid"))
+    indexed = s.save(indexed, "indexed")
+    lists = posting_lists(rows, IdFilter.of(indexed, "rid", indexed.count()), arrange, buckets, threshold)
+    lists = s.save(lists.join(indexed, "rid"), "lists")
+    answers, open_ = derived(s, rows, candidates(lists, threshold, tile), led, threshold)
+    n = first.select("rid", "n").union(odd.join(classes, "rid").select("rid", "n"))
+    open_ = open_.join(n.select(F.col("rid").alias("a"), F.col("n").alias("size_a")), "a").join(n.select(F.col("rid").alias("b"), F.col("n").alias("size_b")), "b")
+    enough = F.col("common").isNull() | ((100 + threshold) * (F.col("common") + F.col("more")) >= threshold * (F.col("size_a") + F.col("size_b")))
+    rest = verified(s, rows, open_.where(enough).select("a", "b"), threshold, "rest").where("linked")
     copies = sets.where("n > 0").join(classes.select("digest", F.col("rid").alias("lead")), "digest")
-    comps = components(s, leaders.union(rest).union(copies.where("rid <> lead").select(F.col("lead").alias("a"), F.col("rid").alias("b"))))
+    comps = components(s, leaders.union(answers.select("a", "b")).union(rest.select("a", "b")).union(copies.where("rid <> lead").select(F.col("lead").alias("a"), F.col("rid").alias("b"))))
     found = s.save(sets.select("rid", "doc_id", F.col("n").alias("n_shingles")).join(comps, "rid", "left"), "found")
-    least_id = found.where("comp IS NOT NULL").groupBy("comp").agg(F.min("doc_id").alias("least"))
-    return s.keep(found.join(least_id, "comp", "left").select("rid", "doc_id", "n_shingles", F.coalesce("least", "doc_id").alias("component_id"), F.coalesce("comp", "rid").alias("first_rid")))
+    if not found.where("doc_id IS NULL OR doc_id <> rid").limit(1).count():  # the row key is the id
+        done = found.withColumn("component_id", F.coalesce("comp", "rid"))
+    else:
+        least = found.where("comp IS NOT NULL").groupBy("comp").agg(F.min("doc_id").alias("least"))
+        least = least.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        done = found.withColumn("salt", F.pmod("rid", F.lit(SALTS)).cast("int")).join(least, ["comp", "salt"], "left").withColumn("component_id", F.coalesce("least", "doc_id"))
+    return s.keep(done.select("rid", "doc_id", "n_shingles", "component_id", F.coalesce("comp", "rid").alias("first_rid")))

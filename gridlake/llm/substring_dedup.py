@@ -10,9 +10,16 @@ common prefixes by Kasai's rule, both vectorised.  Shards above a size are cut u
 suffix arrays of their parts are merged by binary search.  Suffixes whose common prefix
 reaches LENGTH form a run; a run of two places or more marks its strings as repeated.
 
+Whether two windows, or two whole texts, are equal is told by cryptographic digests of
+their bytes (128 bits of BLAKE2b, SHA-256), never by the rolling hash that finds anchors.
+A window that comes again as a whole is repeated by that alone; it enters a shard only
+where some other window has the same anchor.
+
 Defined results: null texts are empty; texts shorter than LENGTH keep all their bytes;
-repeated rows are copies of each other and lose every byte if they are long enough; an
-empty table gives no rows.
+repeated rows, and rows without an id, are documents of their own and as copies of each
+other lose every byte if they are long enough; an empty table gives no rows; other columns
+are not read, whatever their names; a long text is searched for anchors piece by piece,
+with pieces that overlap, so memory doesn't grow with it but for its own bytes.
 """
 
 from __future__ import annotations
@@ -21,7 +28,6 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -33,6 +39,8 @@ LENGTH = 200
 GRAM = 64
 #: Window bytes in a shard, about, and in a part of one at most.
 SHARD_BYTES, PART_BYTES = 1 << 20, 2 << 20
+#: Documents whose anchors make one group.
+BUCKET_DOCS = 2048
 #: Anchors that a task sorts at once.
 FLUSH = 1 << 19
 _RAW = _VALUE.copy()
@@ -40,9 +48,9 @@ _RAW[65:91] = mixed(_VALUE[97:123])  # here case counts
 
 
 def anchors(data: np.ndarray, offsets: np.ndarray, length: int = LENGTH, gram: int = GRAM):
-    """``(text number, position, anchor hash, window hash)`` of all anchors."""
+    """``(text number, position, anchor hash)`` of all anchors of texts of a few MB at most."""
     base, n = int(offsets[0]), int(offsets[-1] - offsets[0])
-    empty = (np.zeros(0, np.int64),) * 2 + (np.zeros(0, np.uint64),) * 2
+    empty = (np.zeros(0, np.int64),) * 2 + (np.zeros(0, np.uint64),)
     if n < length:
         return empty
     data, offs = data[base : base + n], offsets - base
@@ -50,7 +58,7 @@ def anchors(data: np.ndarray, offsets: np.ndarray, length: int = LENGTH, gram: i
     total = np.zeros(n + 1, np.uint64)
     np.cumsum(_RAW[data] * power[:n], out=total[1:])
     hashes = mixed((total[gram:] - total[:-gram]) * inverse[: n - gram + 1])
-    bits = np.uint64(max(24, int(n).bit_length()))
+    bits = np.uint64(24)  # of a place; the order of hashes must not depend on the piece
     ranked = (hashes >> bits << bits) | np.arange(len(hashes), dtype=np.uint64)
     low = _window_min(ranked, length - gram + 1)
     doc_of = np.repeat(np.arange(len(offs) - 1), np.diff(offs))
@@ -60,9 +68,26 @@ def anchors(data: np.ndarray, offsets: np.ndarray, length: int = LENGTH, gram: i
         return empty
     at = np.unique(low[np.concatenate(([True], low[1:] != low[:-1]))] & np.uint64((1 << int(bits)) - 1)).astype(np.int64)
     doc = doc_of[at]
-    lo, hi = np.maximum(offs[doc], at - (length - gram)), np.minimum(offs[doc + 1], at + length)
-    window = mixed((total[hi] - total[lo]) * inverse[lo] + (hi - lo).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
-    return doc, at - offs[doc], hashes[at], window
+    return doc, at - offs[doc], hashes[at]
+
+
+def all_anchors(data: np.ndarray, offsets: np.ndarray, chunk: int = CHUNK_BYTES):
+    """The same for one text of any length, or several within ``chunk`` bytes."""
+    lo, hi = int(offsets[0]), int(offsets[-1])
+    if hi - lo <= chunk or len(offsets) > 2:
+        return anchors(data, offsets)
+    parts = []
+    for a in range(lo, hi, chunk):  # every string of LENGTH bytes lies inside one piece
+        _, at, h = anchors(data, np.array([a, min(hi, a + chunk + LENGTH - 1)]))
+        parts.append((at + (a - lo), h))
+    at, first = np.unique(np.concatenate([p for p, _ in parts]), return_index=True)
+    return np.zeros(len(at), np.int64), at, np.concatenate([h for _, h in parts])[first]
+
+
+def window_digests(data: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+    """Two numbers for the bytes of every window, from a cryptographic digest."""
+    raw = memoryview(np.ascontiguousarray(data))
+    return np.frombuffer(b"".join(hashlib.blake2b(raw[a:b], digest_size=16).digest() for a, b in zip(lo.tolist(), hi.tolist(), strict=True)), np.uint64).reshape(-1, 2)
 
 
 def _window_min(x: np.ndarray, w: int) -> np.ndarray:
@@ -261,7 +286,7 @@ def repeated(windows: list[bytes], places: np.ndarray, several: np.ndarray, limi
 
 # --- the operator ------------------------------------------------------------------
 
-_DOC = "rid long, doc_id long, n_bytes long, digest binary, sha256 string"
+_DOC = "rid long, doc_id long, n_bytes long, sha256 string"
 _BLOB = "bucket long, anchors binary, windows binary, rids binary, positions binary, counts binary, ends binary"
 
 
@@ -270,46 +295,44 @@ def _scan(rows: DataFrame, buckets: int) -> DataFrame:
 
     def run(batches):
         names = [x.split()[0] for x in f"{_DOC}, {_BLOB}".split(", ")]
-        types = [pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.string(), pa.int64(), *[pa.binary()] * 6]
-        seen: set[bytes] = set()
+        types = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), *[pa.binary()] * 6]
+        seen: set[str] = set()
         held, size = [], 0
 
         def flush():
             h, w, r, p, c, e = (np.concatenate(x) for x in zip(*held, strict=True))
             bucket = (mixed(h) % np.uint64(buckets)).astype(np.int64)
             order = np.argsort(bucket, kind="stable")
-            edges = np.searchsorted(bucket[order], np.arange(buckets + 1))
-            out = []
-            for b in range(buckets):
-                o = order[edges[b] : edges[b + 1]]
-                if len(o):
-                    out.append((*[None] * 5, b, *(x[o].tobytes() for x in (h, w, r, p, c, e))))
+            own = bucket[order]
+            cut = np.flatnonzero(np.concatenate(([True], own[1:] != own[:-1], [True]))).tolist()
+            out = [(*[None] * 4, int(own[lo]), *(x[order[lo:hi]].tobytes() for x in (h, w, r, p, c, e))) for lo, hi in zip(cut[:-1], cut[1:], strict=True)]
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), types, strict=True)], names)
 
         for batch in batches:
             data, offs = text_spans(batch.column(2))
             raw, rids = memoryview(data), batch.column(0).to_numpy(zero_copy_only=False)
-            digests = [xxhash.xxh3_128_digest(raw[a:b]) for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
             shas = [hashlib.sha256(raw[a:b]).hexdigest() for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.diff(offs)), pa.array(digests, pa.binary()), pa.array(shas), *(pa.nulls(len(shas), t) for t in types[5:])], names)
-            new = np.array([d not in seen and not seen.add(d) for d in digests], bool)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.diff(offs)), pa.array(shas), *(pa.nulls(len(shas), t) for t in types[4:])], names)
+            new = np.array([d not in seen and not seen.add(d) for d in shas], bool)
             for lo, hi in doc_chunks(offs, CHUNK_BYTES):
-                doc, at, h, w = anchors(data, offs[lo : hi + 1])
+                doc, at, h = all_anchors(data, offs[lo : hi + 1])
                 keep = new[lo:hi][doc]
-                doc, at, h, w = doc[keep], at[keep], h[keep], w[keep]
+                doc, at, h = doc[keep], at[keep], h[keep]
                 if not len(doc):
                     continue
-                order = np.lexsort((at, w, h, doc))
+                begin = offs[lo:hi][doc]
+                w = window_digests(data, np.maximum(begin, begin + at - (LENGTH - GRAM)), np.minimum(offs[lo + 1 : hi + 1][doc], begin + at + LENGTH))
+                order = np.lexsort((at, w[:, 1], w[:, 0], h, doc))
                 doc, at, h, w = doc[order], at[order], h[order], w[order]
                 # equal windows that overlap form one entry from the first to the last
-                same = (doc[1:] == doc[:-1]) & (h[1:] == h[:-1]) & (w[1:] == w[:-1]) & (at[1:] - at[:-1] <= LENGTH)
+                same = (doc[1:] == doc[:-1]) & (h[1:] == h[:-1]) & (w[1:] == w[:-1]).all(1) & (at[1:] - at[:-1] <= LENGTH)
                 first = np.flatnonzero(np.concatenate(([True], ~same)))
                 count = np.diff(np.concatenate((first, [len(doc)])))
                 held.append((h[first], w[first], rids[lo:hi][doc[first]].astype(np.int64), at[first], count, at[first + count - 1]))
                 size += len(first)
-            if size >= FLUSH:
-                yield flush()
-                held, size = [], 0
+                if size >= FLUSH:
+                    yield flush()
+                    held, size = [], 0
         if held:
             yield flush()
 
@@ -326,10 +349,11 @@ def _classified(blobs: DataFrame) -> DataFrame:
     def run(t: pa.Table) -> pa.Table:
         kinds = {"anchors": np.uint64, "windows": np.uint64, "rids": np.int64, "positions": np.int64, "counts": np.int64, "ends": np.int64}
         h, w, r, p, c, e = (np.concatenate([np.frombuffer(b, k) for b in t.column(n).to_pylist()]) for n, k in kinds.items())
-        order = np.lexsort((p, r, w, h))
+        w = w.reshape(-1, 2)
+        order = np.lexsort((p, r, w[:, 1], w[:, 0], h))
         h, w, r, p, c, e = (x[order] for x in (h, w, r, p, c, e))
         new_h = np.concatenate(([True], h[1:] != h[:-1]))
-        new_w = new_h | np.concatenate(([True], w[1:] != w[:-1]))
+        new_w = new_h | np.concatenate(([True], (w[1:] != w[:-1]).any(1)))
         first_w = np.flatnonzero(new_w)
         many_w = np.add.reduceat(c, first_w)
         full = np.repeat(many_w >= 2, np.diff(np.concatenate((first_w, [len(h)]))))
@@ -403,11 +427,11 @@ def repeated_spans(s: Scratch, docs: DataFrame) -> tuple[DataFrame, DataFrame, D
     """Keyed rows, document rows (``copied``: another text is equal) and, for the texts
     that are not copies, ``rid, spans array<struct<start,stop>>`` (unmerged)."""
     rows = keyed(s, docs)
-    buckets = max(1, min(4096, rows.count() // 2048))
+    buckets = max(1, rows.count() // BUCKET_DOCS)
     scanned = s.save(_scan(rows, buckets), "scanned")
     table = scanned.where("bucket IS NULL").select(*[x.split()[0] for x in _DOC.split(", ")])
-    copies = table.groupBy("digest").count().where("count > 1").select("digest", F.lit(True).alias("copied"))
-    table = s.save(table.join(copies, "digest", "left").select("rid", "doc_id", "n_bytes", "sha256", F.coalesce("copied", F.lit(False)).alias("copied")), "table")
+    copies = table.groupBy("sha256").count().where("count > 1").select("sha256", F.lit(True).alias("copied"))
+    table = s.save(table.join(copies, "sha256", "left").select("rid", "doc_id", "n_bytes", "sha256", F.coalesce("copied", F.lit(False)).alias("copied")), "table")
     found = s.save(_classified(scanned.where("bucket IS NOT NULL").select(*[x.split()[0] for x in _BLOB.split(", ")])), "found")
     s.drop("scanned")
     asking = found.where("asks")
