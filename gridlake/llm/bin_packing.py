@@ -1,14 +1,18 @@
 """Packing token sequences: best fit decreasing, then swap-based local search.
 
 Documents longer than a sequence are cut into full pieces, the first one shorter where
-needed.  Pieces are dealt over shards by a hash, a shard holding some twenty thousand
-documents at any input size, and each shard is packed by itself: best fit decreasing,
-then moves, one-for-one and two-for-one exchanges between underfull bins.  Each step
-raises the sum of squared fills, so the emptiest bins drain until they vanish.  The
-search ends where no step is left or the fewest bins that can hold all are reached.
-
-Defined results: null texts are empty and hold the separator only; repeated rows are
-packed separately; an empty table gives no rows; ties go by row order inside a shard.
+needed.  Pieces are dealt over shards by a hash, so many shards that each holds some
+twenty million tokens at any input size, and each shard is packed by itself: best fit
+decreasing, then moves, one-for-one and two-for-one exchanges between underfull bins.  Each
+step raises the sum of squared fills, so the emptiest bins drain until they vanish.  The
+search ends where no step is left or the fewest bins that can hold all are reached.  A
+shard leaves some bins underfull; the poorest of up to FAN shards are then packed together
+by the same search, and so on until all shards have met.
+
+Defined results: null texts are empty and hold the separator only; repeated rows, and rows
+without an id, are packed separately; an empty table gives no rows; ties go by row order
+inside a shard; other columns are not read, whatever their names; a text is encoded as a
+whole, and a long one's pieces are dealt over all shards.
 """
 
 from __future__ import annotations
@@ -23,15 +27,18 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridlake.llm.bpe_dp import LibraryEncoder, texts_of
-from gridlake.llm.common import ship
+from gridlake.llm.common import Scratch
 
 CAPACITY = 2048
 SEPARATOR = (0).to_bytes(4, "little")
-#: Documents in a shard, about; a shard leaves one bin underfull as a rule.
-SHARD_DOCS = 20_000
+#: Characters and documents in a shard, about.
+SHARD_CHARS, SHARD_DOCS = 60_000_000, 20_000
+#: Shards whose poorest bins meet, and how many of them each sends.
+FAN, POOREST = 64, 64
 
-PIECE = "doc_id long, piece int, start long, length long, ids_crc32 long, shard long"
+PIECE = "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long, home long"
 PACKED = "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long"
+OPEN = f"{PACKED}, poor boolean, home long"
 
 
 def cuts(n: int, capacity: int = CAPACITY) -> list[tuple[int, int]]:
@@ -40,8 +47,8 @@ def cuts(n: int, capacity: int = CAPACITY) -> list[tuple[int, int]]:
     return [(0, first), *((s, capacity) for s in range(first, n, capacity))]
 
 
-def piece_rows(docs: DataFrame, tokenizer: str, shards: int, capacity: int = CAPACITY) -> DataFrame:
-    """The pieces of all documents, each with its shard."""
+def piece_rows(docs: DataFrame, tokenizer: str, shards: int) -> DataFrame:
+    """The pieces of all documents, each with its shard and no place yet."""
 
     def run(batches):
         enc = LibraryEncoder.load(tokenizer)
@@ -49,11 +56,12 @@ def piece_rows(docs: DataFrame, tokenizer: str, shards: int, capacity: int = CAP
             ids, rows = batch.column(0).to_pylist(), []
             for k, (doc, text) in enumerate(zip(ids, texts_of(batch.column(1)), strict=True)):
                 packed = enc.encode(text) + SEPARATOR
-                for piece, (start, length) in enumerate(cuts(len(packed) // 4, capacity)):
+                for piece, (start, length) in enumerate(cuts(len(packed) // 4)):
                     crc = zlib.crc32(packed[4 * start : 4 * (start + length)])
-                    rows.append((doc, piece, start, length, crc, zlib.crc32(b"%d %d %d" % (doc or 0, piece, k)) % shards))
-            cols = list(zip(*rows, strict=True)) or [[]] * 6
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64()), strict=True)], ["doc_id", "piece", "start", "length", "ids_crc32", "shard"])
+                    rows.append((doc, piece, start, length, crc, -1, 0, zlib.crc32(b"%d %d %d" % (doc or 0, piece, k)) % shards))
+            cols = list(zip(*rows, strict=True)) or [[]] * 8
+            types = (pa.int64(), pa.int32(), *[pa.int64()] * 6)
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], [x.split()[0] for x in PIECE.split(", ")])
 
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     return plain.mapInArrow(run, PIECE)
@@ -185,21 +193,54 @@ def pack(sizes: list[int], capacity: int = CAPACITY) -> list[list[int]]:
     return [own for own in bins.items if own]
 
 
-def pack_documents(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, shard_docs: int = SHARD_DOCS) -> DataFrame:
-    """``doc_id, piece, start, length, ids_crc32, sequence_id, offset`` of every piece."""
-    ship(docs.sparkSession)
-    shards = max(1, docs.count() // shard_docs)
-
-    def run(table: pa.Table) -> pa.Table:
-        table = table.combine_chunks()
-        shard = table.column("shard")[0].as_py()
-        sequence, offset = np.zeros(len(table), np.int64), np.zeros(len(table), np.int64)
-        sizes = table.column("length").to_pylist()
-        for b, own in enumerate(pack(sizes, capacity)):
+def placed(table: pa.Table, level: int, home: int) -> pa.Table:
+    """Pieces with their sequence and offset, and whether their bin is one of the poorest.
+
+    ``home`` is the shard, or on later levels the pool of shards, that is packed; bins that
+    the pieces lie in already are kept there unless fewer are found.
+    """
+    sizes = table.column("length").to_pylist()
+    bins, poor = pack(sizes), np.zeros(len(table), bool)
+    sequence, offset = (table.column(c).to_numpy().copy() for c in ("sequence_id", "offset"))
+    before = np.unique(sequence).tolist()
+    if level and len(bins) >= len(before):
+        bins = [np.flatnonzero(sequence == b).tolist() for b in before]
+    else:
+        for b, own in enumerate(bins):
             at = 0
             for i in own:
-                sequence[i], offset[i] = shard << 32 | b, at
+                sequence[i], offset[i] = (level << 24 | home) << 32 | b, at
                 at += sizes[i]
-        return table.drop_columns(["shard"]).append_column("sequence_id", pa.array(sequence)).append_column("offset", pa.array(offset))
+    filled = sorted((sum(sizes[i] for i in own), b) for b, own in enumerate(bins))
+    for full, b in filled[:POOREST]:
+        poor[bins[b]] = full < CAPACITY
+    names = [x.split()[0] for x in OPEN.split(", ")]
+    last = [pa.array(sequence), pa.array(offset), pa.array(poor), pa.array(np.full(len(table), home))]
+    return pa.table([*(table.column(c) for c in names[:5]), *last], names=names)
+
 
-    return piece_rows(docs, tokenizer, shards, capacity).groupBy("shard").applyInArrow(run, PACKED)
+def _placer(level: int):
+    def run(table: pa.Table) -> pa.Table:
+        table = table.combine_chunks()
+        return placed(table, level, table.column("home")[0].as_py())
+
+    return run
+
+
+def pack_documents(docs: DataFrame, tokenizer: str, shard_docs: int = SHARD_DOCS, fan: int = FAN) -> DataFrame:
+    """``doc_id, piece, start, length, ids_crc32, sequence_id, offset`` of every piece."""
+    size = docs.agg(F.count("*").alias("rows"), F.sum(F.length(F.col("text").cast("string"))).alias("chars")).first()
+    shards = max(1, size.rows // shard_docs, (size.chars or 0) // SHARD_CHARS)
+    with Scratch(docs.sparkSession, "pack") as s:
+        rows, done = piece_rows(docs, tokenizer, shards), []
+        for level in range(64):
+            rows = rows.groupBy("home").applyInArrow(_placer(level), OPEN)
+            if shards == 1:
+                break
+            shards = -(-shards // fan)
+            rows = s.keep(rows, f"level-{level}")
+            done.append(rows.where("NOT poor"))
+            rows = rows.where("poor").withColumn("home", F.floor(F.col("home") / fan))
+        for part in done:
+            rows = rows.unionByName(part)
+        return s.keep(rows.select(*[x.split()[0] for x in PACKED.split(", ")]))

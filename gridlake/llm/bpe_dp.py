@@ -2,15 +2,17 @@
 
 A text is cut into pieces by the vocabulary's public pattern; every piece is encoded
 by itself.  For each prefix of a piece there is exactly one last token that byte-pair
-merging can leave there.  A table of all suffixes of all tokens is walked backwards from
-the prefix's end and reports the tokens that are suffixes of it; the one that starts at
-the piece's beginning or is compatible with the last token of the prefix before it is
-stored as the back-pointer.  Following the back-pointers gives the ids.  No merge loop is
-run.
+merging can leave there.  A suffix automaton of all tokens is fed the piece byte by byte;
+its suffix links give the tokens that end at a prefix's end, the longest first.  The one
+that starts at the piece's beginning or is compatible with the last token of the prefix
+before it is stored as the back-pointer.  Following the back-pointers gives the ids.  No
+merge loop is run.
 
 Defined results: a null text is empty and has no ids; the added token's string is cut
 out first and gets its own id; bytes that are not UTF-8 are read as U+FFFD; repeated
-rows give repeated results.
+rows, and rows without an id, give results of their own; an empty table gives no rows;
+other columns are not read, whatever their names; a text is worked on as a whole, in time
+that grows with its length.
 """
 
 from __future__ import annotations
@@ -39,7 +41,7 @@ CHUNKS = re.compile(rf" ?[^{SPACE}]+|[{SPACE}]+(?![^{SPACE}])|[{SPACE}]+").finda
 #: Finds white space next to more of it, or at the end: only there is a blank no sure border.
 PLAIN = re.compile(r"\s\s|\s\Z|\A\s").search
 #: What a worker remembers at most; beyond it that memory starts anew.
-MEMO_CHUNKS, MEMO_PREFIXES = 500_000, 700_000
+MEMO_CHUNKS, MEMO_PAIRS = 500_000, 2_000_000
 #: Longer pieces and chunks, in characters, aren't remembered.
 SHORT = 48
 
@@ -53,6 +55,56 @@ def printable_bytes() -> dict[str, int]:
     return {chr(b): b for b in own} | {chr(256 + k): b for k, b in enumerate(rest)}
 
 
+class SuffixAutomaton:
+    """All substrings of a set of tokens as states, linked to their longest suffixes of
+    another state.  A token is the longest string of its state."""
+
+    def __init__(self, tokens: dict[bytes, int]):
+        self.step: list[dict[int, int]] = [{}]
+        self.link, self.length, self.token = [-1], [0], [-1]
+        for token, k in tokens.items():
+            at = 0
+            for byte in token:
+                at = self._extend(at, byte)
+            self.token[at] = k
+        #: Length and token of every token that is a suffix of a state's longest string,
+        #: the longest first; the suffix links reach all of them.
+        self.suffixes: list[tuple[tuple[int, int], ...]] = [()] * len(self.link)
+        for v in sorted(range(1, len(self.link)), key=self.length.__getitem__):
+            own = ((self.length[v], self.token[v]),) if self.token[v] >= 0 else ()
+            self.suffixes[v] = own + self.suffixes[self.link[v]] if own else self.suffixes[self.link[v]]
+
+    def _state(self, length: int, link: int, step: dict[int, int]) -> int:
+        self.step.append(step)
+        self.link.append(link)
+        self.length.append(length)
+        self.token.append(-1)
+        return len(self.link) - 1
+
+    def _split(self, p: int, byte: int, q: int) -> int:
+        """The state of the shorter strings of ``q`` that ``p`` leads to."""
+        if self.length[q] == self.length[p] + 1:
+            return q
+        own = self._state(self.length[p] + 1, self.link[q], dict(self.step[q]))
+        self.link[q] = own
+        while p >= 0 and self.step[p].get(byte) == q:
+            self.step[p][byte] = own
+            p = self.link[p]
+        return own
+
+    def _extend(self, last: int, byte: int) -> int:
+        known = self.step[last].get(byte)
+        if known is not None:
+            return self._split(last, byte, known)
+        new, p = self._state(self.length[last] + 1, 0, {}), last
+        while p >= 0 and byte not in self.step[p]:
+            self.step[p][byte] = new
+            p = self.link[p]
+        if p >= 0:
+            self.link[new] = self._split(p, byte, self.step[p][byte])
+        return new
+
+
 class Encoder(dict):
     """Maps a piece to its ids, packed as little-endian unsigned 32-bit integers."""
 
@@ -76,18 +128,14 @@ class Encoder(dict):
             x, y, z = vocab[a], vocab[b], vocab[a + b]
             self.pair[x << 20 | y] = r
             self.rank[z], self.left[z], self.right[z] = r, x, y
-        #: Every suffix of every token, with the token's id where the suffix is one itself.
-        self.suffix: dict[bytes, int] = {}
-        for token, k in vocab.items():
-            if token not in self.added:
-                whole = self.bytes_of[k]
-                for at in range(1, len(whole)):
-                    self.suffix.setdefault(whole[at:], -1)
-                self.suffix[whole] = k
+        self.automaton = self._automaton({self.bytes_of[k]: k for t, k in vocab.items() if t not in self.added})
         self.cut = regex.compile(PIECES).findall
         self.at_added = regex.compile("(" + "|".join(map(regex.escape, sorted(self.added, key=len, reverse=True))) + ")") if self.added else None
         self.memo_pairs: dict[int, bool] = {}
-        self.prefixes: dict[bytes, int] = {}
+        self.pieces: dict[str, bytes] = {}
+
+    def _automaton(self, tokens: dict[bytes, int]) -> SuffixAutomaton | None:
+        return SuffixAutomaton(tokens)
 
     @classmethod
     def load(cls, path: str):
@@ -95,16 +143,9 @@ class Encoder(dict):
             _loaded[cls, path] = cls(path)
         return _loaded[cls, path]
 
-    def compatible(self, a: int, b: int) -> bool:
+    def _compatible(self, a: int, b: int) -> bool:
         """Whether merging leaves ``a`` next to ``b``: no pair of pieces that face each
         other at the border, at a time when both exist, has a merge that comes first."""
-        key = a << 20 | b
-        known = self.memo_pairs.get(key)
-        if known is None:
-            known = self.memo_pairs[key] = self._compatible(a, b)
-        return known
-
-    def _compatible(self, a: int, b: int) -> bool:
         never = 1 << 30
         x, x_ends = a, never
         while x >= 0:
@@ -120,54 +161,52 @@ class Encoder(dict):
             x_ends, x = self.rank[x], self.right[x]
         return True
 
-    def last_token(self, piece: bytes, end: int, before) -> int:
-        """The token that ends the encoding of ``piece[:end]``; ``before(start)`` is that
-        of a shorter prefix.  Of the tokens that are suffixes, one only is compatible."""
-        suffix, fits, at = self.suffix, [], end
-        while at:
-            at -= 1
-            k = suffix.get(piece[at:end])
-            if k is None:
-                break
-            if k >= 0:
-                fits.append((at, k))
-        for start, k in reversed(fits):
-            if not start or self.compatible(before(start), k):
-                return k
-        raise ValueError("no token ends this prefix")
-
-    def _last_of(self, prefix: bytes) -> int:
-        """Short prefixes are shared by many pieces and remembered."""
-        known = self.prefixes.get(prefix)
-        if known is None:
-            known = self.prefixes[prefix] = self.last_token(prefix, len(prefix), lambda start: self._last_of(prefix[:start]))
-        return known
-
     def ids_of_piece(self, piece: bytes) -> list[int]:
-        size, out, at = self.bytes_of, [], len(piece)
-        if at <= SHORT:
-            while at:
-                out.append(self._last_of(piece[:at]))
-                at -= len(size[out[-1]])
-        else:
-            last = [-1]
-            for end in range(1, at + 1):
-                last.append(self.last_token(piece, end, last.__getitem__))
-            while at:
-                out.append(last[at])
-                at -= len(size[last[at]])
+        auto, pairs = self.automaton, self.memo_pairs
+        step, link, length, suffixes = auto.step, auto.link, auto.length, auto.suffixes
+        last: list[int] = [-1]
+        state = matched = end = 0
+        for byte in piece:
+            end += 1
+            following = step[state].get(byte)
+            while following is None:  # fall back to the longest suffix that goes on
+                state = link[state]
+                matched = length[state]
+                following = step[state].get(byte)
+            state, matched = following, matched + 1
+            # tokens that end here; the state's own only if it matched whole
+            for size, k in suffixes[state if matched == length[state] else link[state]]:
+                if size == end:
+                    break
+                key = last[end - size] << 20 | k
+                fits = pairs.get(key)
+                if fits is None:
+                    fits = pairs[key] = self._compatible(last[end - size], k)
+                if fits:
+                    break
+            last.append(k)
+        out, at = [], len(piece)
+        size = self.bytes_of
+        while at:
+            out.append(last[at])
+            at -= len(size[last[at]])
         return out[::-1]
 
     def packed(self, chunk: str) -> bytes:
         """The ids of a chunk that no piece crosses the border of."""
-        ids: list[int] = []
+        out, known = [], self.pieces
         for piece in self.cut(chunk):
-            ids += self.ids_of_piece(piece.encode())
-        if len(self.prefixes) >= MEMO_PREFIXES:
-            self.prefixes.clear()
-        if len(self.memo_pairs) >= MEMO_PREFIXES:
+            got = known.get(piece)
+            if got is None:
+                got = array("I", self.ids_of_piece(piece.encode())).tobytes()
+                if len(piece) < SHORT:
+                    known[piece] = got
+            out.append(got)
+        if len(known) >= MEMO_CHUNKS:
+            known.clear()
+        if len(self.memo_pairs) >= MEMO_PAIRS:
             self.memo_pairs.clear()
-        return array("I", ids).tobytes()
+        return b"".join(out)
 
     def __missing__(self, word: str) -> bytes:
         got = self.packed(" " + word)
@@ -181,7 +220,7 @@ class Encoder(dict):
         """The ids of a text without added tokens.  A blank before a character that is not
         white space always begins a piece, so the words behind blanks are independent."""
         if PLAIN(text):
-            return b"".join(self.packed(c) for c in CHUNKS(text))
+            return b"".join([self[c[1:]] if c[0] == " " and not c[-1].isspace() else self.packed(c) for c in CHUNKS(text)])
         first, *words = text.split(" ")
         return b"".join((self.packed(first), *map(self.__getitem__, words)))
 
@@ -249,9 +288,11 @@ class LibraryEncoder(Encoder):
         import tiktoken
 
         super().__init__(path)
-        self.suffix.clear()
         taken = set(self.added.values())
         self.merge = tiktoken.Encoding("own", pat_str=PIECES, mergeable_ranks={b: k for k, b in enumerate(self.bytes_of) if k not in taken}, special_tokens={}).encode_ordinary
 
+    def _automaton(self, tokens: dict[bytes, int]) -> None:
+        return None
+
     def packed(self, chunk: str) -> bytes:
         return array("I", self.merge(chunk)).tobytes()
