@@ -1,7 +1,9 @@
 """Exact top-k by inner product over an impact-ordered index.
 
 Vectors are dealt over blocks of some thousands by a hash.  In a block, every component
-is quantised to a level; a posting segment holds the rows of one (dimension, level).
+is quantised to a level; a posting segment holds the rows of one (dimension, level).  The
+segments of all blocks are built once and written; a block's index is read by one task,
+which answers all queries with it, the queries coming to it in blocks of their own.
 For a query, segments are processed in descending order of their contribution.  Partial
 scores and counts of processed dimensions bound every row from both sides; processing
 stops only when the bounds prove that few rows can be among the best, and those are
@@ -9,7 +11,8 @@ scored again exactly.  The blocks' answers are merged by score and id.
 
 Defined results: vectors that are null, empty or hold null or non-finite components take
 no part, nor do rows without an id; shorter vectors count as padded with zeros; repeated
-rows are candidates of their own; ties go to the smaller id.
+rows are candidates of their own; ties go to the smaller id; an empty table, or one without
+an id divisible by the step, gives no rows; other columns are not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -29,7 +32,7 @@ LEVELS = 32
 #: Portions that the order of segments is processed in; the bounds are tested between them.
 BANDS = 16
 PACKED = "block long, ids binary, dim int, vectors binary"
-HIT = "query_id long, score long, vec_id long, vec_rid long"
+INDEX = f"{PACKED}, shift int, postings binary, segments binary"
 
 
 def valid_vectors(table: DataFrame, scale: int = 256) -> DataFrame:
@@ -40,8 +43,8 @@ def valid_vectors(table: DataFrame, scale: int = 256) -> DataFrame:
     return table.where(ok).where(finite).select(F.xxhash64("vec_id", F.monotonically_increasing_id()).alias("rid"), F.col("vec_id").cast("long").alias("vec_id"), whole.alias("x"))
 
 
-def packed(rows: DataFrame, blocks: int) -> DataFrame:
-    """One row for each block of about as many vectors."""
+def packed(rows: DataFrame, blocks: int, index: bool = False) -> DataFrame:
+    """One row for each block of about as many vectors, with its postings if asked for."""
 
     def pack(t: pa.Table) -> pa.Table:
         t = t.combine_chunks()
@@ -51,9 +54,14 @@ def packed(rows: DataFrame, blocks: int) -> DataFrame:
         for row, x in zip(m, lists, strict=True):
             row[: len(x)] = x
         ids = np.stack([t.column("vec_id").to_numpy(), t.column("rid").to_numpy()])
-        return pa.table({"block": pa.array([t.column("block")[0].as_py()], pa.int64()), "ids": pa.array([ids.tobytes()], pa.binary()), "dim": pa.array([dim], pa.int32()), "vectors": pa.array([m.astype(np.int32).tobytes() if np.abs(m).max(initial=0) < 2**31 else m.tobytes()], pa.binary())})
+        narrow = m.astype(np.int32) if np.abs(m).max(initial=0) < 2**31 else m
+        out = {"block": pa.array([t.column("block")[0].as_py()], pa.int64()), "ids": pa.array([ids.tobytes()], pa.binary()), "dim": pa.array([dim], pa.int32()), "vectors": pa.array([narrow.tobytes()], pa.binary())}
+        if index:
+            own = ImpactIndex.build(m)
+            out |= {"shift": pa.array([own.shift], pa.int32()), "postings": pa.array([own.postings.tobytes()], pa.binary()), "segments": pa.array([own.segments.tobytes()], pa.binary())}
+        return pa.table(out)
 
-    return rows.withColumn("block", F.pmod(F.col("rid"), F.lit(blocks))).groupBy("block").applyInArrow(pack, PACKED)
+    return rows.withColumn("block", F.pmod(F.col("rid"), F.lit(blocks))).groupBy("block").applyInArrow(pack, INDEX if index else PACKED)
 
 
 def unpacked(ids: bytes, dim: int, vectors: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -64,31 +72,32 @@ def unpacked(ids: bytes, dim: int, vectors: bytes) -> tuple[np.ndarray, np.ndarr
 
 
 class ImpactIndex:
-    """The posting segments of one block."""
+    """The posting segments of one block: ``segments`` has start, stop, dimension and level
+    of each, ``postings`` the rows."""
 
-    def __init__(self, vectors: np.ndarray, levels: int = LEVELS):
-        self.vectors = vectors
+    def __init__(self, vectors: np.ndarray, shift: int, postings: np.ndarray, segments: np.ndarray):
+        self.vectors, self.shift, self.postings, self.segments = vectors, shift, postings, segments
         self.n, self.d = vectors.shape
+        self.starts, self.stops, self.dims, levels = segments
+        #: The middle of a segment's values, and how far from it they can be.
+        self.half = ((1 << shift) - 1) / 2
+        self.values = (levels << shift) + self.half
+
+    @classmethod
+    def build(cls, vectors: np.ndarray, levels: int = LEVELS) -> ImpactIndex:
+        n, d = vectors.shape
         reach = int(vectors.max(initial=0)) - int(vectors.min(initial=0)) + 1
-        self.shift = max(0, (reach // levels).bit_length() - 1)
-        level = vectors >> self.shift
-        self.postings, starts, stops, dims, values = [], [], [], [], []
-        at = 0
-        for j in range(self.d):
+        shift = max(0, (reach // levels).bit_length() - 1)
+        level = vectors >> shift
+        postings, segments = [], []
+        for j in range(d):
             order = np.argsort(level[:, j], kind="stable").astype(np.int32)
             own = level[order, j]
             cut = np.flatnonzero(np.diff(own)) + 1
-            starts.append(at + np.concatenate(([0], cut)))
-            stops.append(at + np.concatenate((cut, [self.n])))
-            dims.append(np.full(len(cut) + 1, j))
-            values.append(own[np.concatenate(([0], cut))])
-            self.postings.append(order)
-            at += self.n
-        self.postings = np.concatenate(self.postings)
-        self.starts, self.stops, self.dims = map(np.concatenate, (starts, stops, dims))
-        #: The middle of a segment's values, and how far from it they can be.
-        self.half = ((1 << self.shift) - 1) / 2
-        self.values = (np.concatenate(values) << self.shift) + self.half
+            first, last = np.concatenate(([0], cut)), np.concatenate((cut, [n]))
+            segments.append(np.stack([first + j * n, last + j * n, np.full(len(first), j), own[first]]))
+            postings.append(order)
+        return cls(vectors, shift, np.concatenate(postings), np.concatenate(segments, axis=1))
 
     def possible(self, query: np.ndarray, k: int) -> np.ndarray:
         """Rows that the bounds don't exclude from the ``k`` best; all of them if need be."""
@@ -126,28 +135,38 @@ class ImpactIndex:
         return [h for h in hits if h[2] != own][:k]
 
 
-def search(s: Scratch, table: DataFrame, every: int = 50, k: int = K) -> DataFrame:
+def search(s: Scratch, table: DataFrame, every: int = 50, k: int = K, block: int = BLOCK, query_block: int = QUERY_BLOCK) -> DataFrame:
     """``query_id, rank, vec_id, score`` for the rows whose id is divisible by ``every``."""
+    k_best = k
     vectors = s.save(valid_vectors(table), "vectors")
     asked = vectors.where(F.col("vec_id") % every == 0)
     n, m = vectors.count(), asked.count()
-    blocks, query_blocks = max(1, -(-n // BLOCK)), max(1, -(-m // QUERY_BLOCK))
-    index = s.save(packed(vectors, blocks), "index")
-    asks = packed(asked, query_blocks).select(F.col("block").alias("query_block"), F.col("ids").alias("query_ids"), F.col("dim").alias("query_dim"), F.col("vectors").alias("query_vectors"))
-    # a stated query set against all rows, block by block
-    pairs = asks.withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long")))).join(index, "block")
-    pairs = pairs.repartition(min(4096, blocks * query_blocks), "block", "query_block")
+    blocks, query_blocks = max(1, -(-n // block)), max(1, -(-m // query_block))
+    index = s.save(packed(vectors, blocks, index=True), "index")
+    asks = s.save(packed(asked, query_blocks).drop("block"), "asks")
+    # a stated query set against all rows: every block's index is followed by the queries
+    reading = index.withColumn("asks", F.lit(0))
+    asking = asks.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("block"), "*", F.lit(1).alias("asks"))
+    visits = reading.unionByName(asking, allowMissingColumns=True).repartition(min(1 << 16, blocks), "block").sortWithinPartitions("block", "asks")
 
     def answer(batches):
+        index = ids = rids = None
         for batch in batches:
-            for r in batch.to_pylist():
-                ids, rids, m = unpacked(r["ids"], r["dim"], r["vectors"])
-                index, out = ImpactIndex(m), []
-                for q, own, x in zip(*unpacked(r["query_ids"], r["query_dim"], r["query_vectors"]), strict=True):
-                    out += [(int(q), int(own), *h) for h in index.best(x, k, ids, rids, int(own))]
+            for k in range(batch.num_rows):
+                r = batch.slice(k, 1).to_pylist()[0]
+                if not r["asks"]:
+                    ids, rids, m = unpacked(r["ids"], r["dim"], r["vectors"])
+                    index = ImpactIndex(m, r["shift"], np.frombuffer(r["postings"], np.int32), np.frombuffer(r["segments"], np.int64).reshape(4, -1))
+                    at = r["block"]
+                    continue
+                if index is None or at != r["block"]:  # no vector fell into this block
+                    continue
+                out = []
+                for q, own, x in zip(*unpacked(r["ids"], r["dim"], r["vectors"]), strict=True):
+                    out += [(int(q), int(own), *h) for h in index.best(x, k_best, ids, rids, int(own))]
                 cols = list(zip(*out, strict=True)) or [[]] * 5
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["query_id", "query_rid", "score", "vec_id", "vec_rid"])
 
-    hits = pairs.select("ids", "dim", "vectors", "query_ids", "query_dim", "query_vectors").mapInArrow(answer, "query_id long, query_rid long, score long, vec_id long, vec_rid long")
+    hits = visits.mapInArrow(answer, "query_id long, query_rid long, score long, vec_id long, vec_rid long")
     place = Window.partitionBy("query_id", "query_rid").orderBy(F.desc("score"), "vec_id", "vec_rid")
     return s.keep(hits.withColumn("rank", F.row_number().over(place)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score"))
