@@ -58,6 +58,8 @@ class GridSpec:
     variables: tuple[tuple[str, str], ...]
     #: SQL expression over a spanning value that gives its chunk key, for pruning.
     chunk_of: str = ""
+    #: Whether a chunk's name is its key.
+    keyed: bool = True
 
     def axis(self, name: str) -> Axis:
         return next(a for a in self.axes if a.name == name)
@@ -85,6 +87,8 @@ class ScanOptions:
     residual: bool = True
     include_fill: bool = False
     max_clauses: int = 4096
+    #: Cells of one lookup at most (the fastest axis stays whole); 0 leaves lookups uncut.
+    lookup_cells: int = 1 << 18
     #: More boxes than this become a broadcast table instead of literals in the plan.
     inline_boxes: int = 64
 

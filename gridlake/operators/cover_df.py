@@ -12,18 +12,30 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
-def elementary(boxes: DataFrame, axis: str, group: list[str]) -> DataFrame:
-    """Boxes cut at every bound of the axis inside their group.
+#: Boxes beyond which the first axis is cut into bins, and the least width of one.
+BIN_BOXES, BIN_WIDTH = 4096, 64
 
-    A box carries the group's bounds as an array only as wide as the box needs: the bounds
-    are joined by range through the group key.
-    """
+
+def elementary(boxes: DataFrame, axis: str, group: list[str]) -> DataFrame:
+    """Boxes cut at every bound of the axis inside their group, which has the bounds as an array."""
     lo, hi = f"{axis}_lo", f"{axis}_hi"
     bounds = boxes.select(*group, F.explode(F.array(lo, hi)).alias("at")).groupBy(*group).agg(F.array_sort(F.collect_set("at")).alias("__bounds"))
-    both = boxes.join(bounds, group) if group else boxes.crossJoin(F.broadcast(bounds))
     own = F.filter("__bounds", lambda x: (x >= F.col(lo)) & (x <= F.col(hi)))
     pairs = F.arrays_zip(F.slice(own, 1, F.size(own) - 1).alias("a"), F.slice(own, 2, F.size(own) - 1).alias("b"))
-    return both.withColumn("__p", F.explode(pairs)).withColumn(lo, F.col("__p.a")).withColumn(hi, F.col("__p.b")).drop("__bounds", "__p")
+    return boxes.join(bounds, group).withColumn("__p", F.explode(pairs)).withColumn(lo, F.col("__p.a")).withColumn(hi, F.col("__p.b")).drop("__bounds", "__p")
+
+
+def binned(boxes: DataFrame, axis: str, most: int = BIN_BOXES) -> DataFrame:
+    """Boxes cut at the borders of equal bins of an axis, with their ``__bin``: a bin has no
+    more bounds than it has positions, however many boxes there are.  Fusing joins the
+    slabs of neighbouring bins again."""
+    lo, hi = f"{axis}_lo", f"{axis}_hi"
+    size = boxes.agg(F.count("*").alias("n"), F.min(lo).alias("lo"), F.max(hi).alias("hi")).first()
+    width = max(BIN_WIDTH, -(-((size.hi or 0) - (size.lo or 0)) * most // max(1, size.n)), 1)
+    at = F.sequence(F.floor(F.col(lo) / width), F.floor((F.col(hi) - 1) / width))
+    cut = boxes.where(F.col(lo) < F.col(hi)).withColumn("__bin", F.explode(at))
+    kind = boxes.schema[lo].dataType
+    return cut.withColumn(lo, F.greatest(F.col(lo), F.col("__bin") * width).cast(kind)).withColumn(hi, F.least(F.col(hi), (F.col("__bin") + 1) * width).cast(kind))
 
 
 def islands(rows: DataFrame, lo: str, hi: str, group: list[str]) -> DataFrame:
@@ -35,11 +47,6 @@ def islands(rows: DataFrame, lo: str, hi: str, group: list[str]) -> DataFrame:
     return marked.groupBy(*group, "__run").agg(F.min(lo).alias(lo), F.max(hi).alias(hi)).drop("__run")
 
 
-def slabs(boxes: DataFrame, axis: str) -> DataFrame:
-    """Boxes cut by the slowest axis first, so later cuts only see the slab's own boxes."""
-    return elementary(boxes, axis, [])
-
-
 def cover_df(boxes: DataFrame, axes: list[str]) -> DataFrame:
     """Disjoint boxes with the same union, in the canonical form of the driver's covers.
 
@@ -47,8 +54,8 @@ def cover_df(boxes: DataFrame, axes: list[str]) -> DataFrame:
     at different places are first cut at all bounds that their group has in common.
     """
     sides = [f"{a}_{e}" for a in axes for e in ("lo", "hi")]
-    cells = boxes.select(*sides).distinct()
-    for k, axis in enumerate(axes):
+    cells = elementary(binned(boxes.select(*sides).distinct(), axes[0]), axes[0], ["__bin"]).drop("__bin").distinct()
+    for k, axis in enumerate(axes[1:], 1):
         group = [f"{a}_{e}" for a in axes[:k] for e in ("lo", "hi")]
         cells = elementary(cells, axis, group).distinct()
     for axis in reversed(axes):

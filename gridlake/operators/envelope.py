@@ -25,24 +25,21 @@ def envelope_bounds(df: DataFrame, *dims: str, by: str = "chunk") -> DataFrame:
 def collected(df: DataFrame, dims: tuple[str, ...], by: str, max_boxes: int) -> list[tuple]:
     """Closed bounds per chunk as tuples of (lo, hi), coarsened on the way.
 
-    More chunks than ``max_boxes`` are merged by ranges of the first dimension before
-    anything reaches the driver.
+    More chunks than ``max_boxes`` are merged by ranges of the first dimension (its least
+    bounds' quantiles) before anything reaches the driver, so what is merged lies close.
     """
     bounds = envelope_bounds(df, *dims, by=by)
     n = bounds.count()
     if n > max_boxes:
-        first = f"{dims[0]}_lo"
-        bounds = bounds.withColumn("__g", F.ntile(max_boxes).over(_by(first))) if n <= 100_000 else bounds.withColumn("__g", F.pmod(F.xxhash64(by), F.lit(max_boxes)))
+        first = F.col(f"{dims[0]}_lo")
+        place = F.unix_micros(first.cast("timestamp")) if bounds.schema[f"{dims[0]}_lo"].dataType.typeName().startswith(("timestamp", "date")) else first
+        place = place.cast("double")
+        cuts = bounds.agg(F.percentile_approx(place, [k / max_boxes for k in range(1, max_boxes)], 10_000).alias("q")).first().q
+        bounds = bounds.withColumn("__g", F.size(F.filter(F.lit(sorted(set(cuts))), lambda q: q <= place)))
         bounds = bounds.groupBy("__g").agg(*[f(f"{d}_{e}").alias(f"{d}_{e}") for d in dims for f, e in ((F.min, "lo"), (F.max, "hi"))])
     return [tuple((r[f"{d}_lo"], r[f"{d}_hi"]) for d in dims) for r in bounds.collect() if all(r[f"{d}_lo"] is not None for d in dims)]
 
 
-def _by(column: str):
-    from pyspark.sql import Window
-
-    return Window.orderBy(column)
-
-
 def coarsen(bounds: list[tuple], max_boxes: int = MAX_BOXES) -> list[tuple]:
     """Disjoint half-open boxes of cuts around the bounds; the hull where they stay too many."""
     half = [tuple((before(lo), after(hi)) for lo, hi in b) for b in bounds]
@@ -73,11 +70,15 @@ def envelope(df: DataFrame, *dims: str, by: str = "chunk", max_boxes: int = MAX_
     The hull is a conjunction of single-column ranges, which the optimiser carries over an
     equi-join by itself.
     """
+    return df.where(envelope_test(df, *dims, by=by, max_boxes=max_boxes))
+
+
+def envelope_test(df: DataFrame, *dims: str, by: str = "chunk", max_boxes: int = MAX_BOXES) -> Column:
+    """The hull of ``df``'s chunks' bounds as a test; always true where there are no rows."""
     bounds = collected(df, dims, by, max_boxes)
     if not bounds:
-        return df
-    hull = bx.hull([tuple((before(lo), after(hi)) for lo, hi in b) for b in bounds])
-    return df.where(box_test(dims, hull))
+        return F.lit(True)
+    return box_test(dims, bx.hull([tuple((before(lo), after(hi)) for lo, hi in b) for b in bounds]))
 
 
 def predicate_sql(dims: tuple[str, ...], boxes: list[tuple]) -> str:

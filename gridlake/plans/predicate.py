@@ -319,6 +319,16 @@ def clauses_of(tree, max_clauses: int = 4096) -> list[Clause]:
     return [c for c in found if c is not None]
 
 
+def decided(tree, max_clauses: int = 4096) -> bool:
+    """Whether boxes alone decide the predicate: every test is one of an axis, and the
+    expansion stays within its guard."""
+
+    def plain(node) -> bool:
+        return all(map(plain, node.parts)) if isinstance(node, And | Or) else isinstance(node, Atom)
+
+    return plain(tree) and clause_count(split_equalities(tree)) <= max_clauses
+
+
 def to_sql(tree) -> str:
     """The tree as SQL again."""
     if isinstance(tree, And | Or):

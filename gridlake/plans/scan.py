@@ -47,16 +47,19 @@ class Grid:
 
     # --- planning ---------------------------------------------------------------
 
-    def plan(self, predicate: str | None = None, options: ScanOptions = ScanOptions()) -> ScanPlan:
+    def plan(self, predicate=None, options: ScanOptions = ScanOptions()) -> ScanPlan:
+        """``predicate`` is a WHERE text or a tree of it."""
         spec = self.spec
-        tree = pr.parse_predicate(predicate, spec) if predicate else pr.And(())
+        tree = pr.parse_predicate(predicate, spec) if isinstance(predicate, str) else predicate or pr.And(())
         clauses = pr.clauses_of(tree, options.max_clauses) if options.prune_rows else [pr.Clause()]
         boxes = rewrite.rewrite_global(spec, clauses)
         stats = None
         if options.cover in bx.COVERS and len(boxes) > 1:
             result = bx.COVERS[options.cover](boxes)
             boxes, stats = list(result.boxes), result.stats
-        residual = pr.to_sql(tree) if predicate and options.residual else None
+        # boxes that are exact need no further test of the rows
+        exact = options.prune_rows and options.cover in bx.COVERS and len(clauses) <= options.max_clauses and pr.decided(tree, options.max_clauses)
+        residual = pr.to_sql(tree) if predicate and options.residual and not exact else None
         return ScanPlan(spec, tuple(boxes), len(clauses), stats, residual)
 
     def local_boxes(self, plan: ScanPlan) -> DataFrame:
@@ -89,7 +92,7 @@ class Grid:
 
     # --- rows -------------------------------------------------------------------
 
-    def scan(self, columns: list[str] | None = None, predicate: str | None = None, options: ScanOptions = ScanOptions()) -> DataFrame:
+    def scan(self, columns: list[str] | None = None, predicate=None, options: ScanOptions = ScanOptions()) -> DataFrame:
         """The selected columns of the cells that satisfy the predicate."""
         plan = self.plan(predicate, options)
         out = self.emit(plan, options)
@@ -101,9 +104,11 @@ class Grid:
         """Every cell as a row: chunk, spanning value, value and position per axis, variables."""
         return self.scan(options=ScanOptions(include_fill=include_fill))
 
-    def emit(self, plan: ScanPlan, options: ScanOptions) -> DataFrame:
+    def emit(self, plan: ScanPlan, options: ScanOptions, tiles: DataFrame | None = None) -> DataFrame:
+        """The cells of the plan's boxes; ``tiles`` are those of known chunks, else all are looked through."""
         spec, span = self.spec, self.spec.spanning
-        tiles = self._chunks(self.tiles(), plan.boxes) if options.prune_rows else self.tiles()
+        if tiles is None:
+            tiles = self._chunks(self.tiles(), plan.boxes) if options.prune_rows else self.tiles()
         around = bx.hull([b for b in plan.boxes]) if plan.boxes and options.prune_rows else None
         for a, (lo, hi) in zip(spec.axes, around or (), strict=False):
             if not a.spans and (lo, hi) != (0, len(a.values)):  # the first half reaches Parquet's statistics
@@ -120,6 +125,8 @@ class Grid:
                 near &= (F.col(f"{a.name}_lo") < F.col(f"o_{a.name}") + F.col(f"n_{a.name}")) & (F.col(f"o_{a.name}") < F.col(f"{a.name}_hi"))
             tiles = tiles.join(F.broadcast(table), near)
             found = F.filter(F.array(self._inside(None)), self._touches)
+        if options.lookup_cells:
+            found = self._split(found, options.lookup_cells)
         tiles = tiles.withColumn("__at", F.explode(found)).withColumn("__lin", F.explode(self._offsets(0, F.lit(0))))
         ix, stride = {}, F.lit(1)
         for a in reversed(spec.axes):
@@ -144,7 +151,9 @@ class Grid:
         """A box cut to the tile, as positions in the chunk; without a box, the joined one."""
         sides = []
         for a in self.spec.axes:
-            if a.spans:
+            if a.spans and box is not None and isinstance(box.get(a.name, (None,))[0], int):
+                lo, hi = map(F.lit, box[a.name])
+            elif a.spans:
                 ends = [rewrite.cut_literals(c, a.dtype) for c in box.get(a.name, (rewrite.BELOW, rewrite.ABOVE))] if box is not None else [(F.col(f"{a.name}_{e}"), F.col(f"{a.name}_{e}_side")) for e in ("lo", "hi")]
                 lo, hi = rewrite.local_span(F.col(f"{a.name}_values"), *ends)
             elif box is None:
@@ -155,6 +164,31 @@ class Grid:
             sides += [F.greatest(lo.cast("int"), origin).alias(f"{a.name}_lo"), F.least(hi.cast("int"), origin + F.col(f"n_{a.name}")).alias(f"{a.name}_hi")]
         return F.struct(*sides)
 
+    def _split(self, found: Column, cells: int) -> Column:
+        """Lookups cut so that each has at most ``cells``: the slowest axes first, the fastest
+        one stays whole."""
+        names = [a.name for a in self.spec.axes]
+
+        def length(b: Column, name: str) -> Column:
+            return b[f"{name}_hi"] - b[f"{name}_lo"]
+
+        def cut(k: int):
+            def parts(b: Column) -> Column:
+                own, inner = names[k], store.product([length(b, n).cast("long") for n in names[k + 1 :]])
+                step = F.greatest(F.lit(1), F.floor(F.lit(cells) / inner).cast("int"))
+
+                def part(at: Column) -> Column:
+                    sides = {f"{own}_lo": at, f"{own}_hi": F.least(at + step, b[f"{own}_hi"])}
+                    return F.struct(*[sides.get(f"{n}_{e}", b[f"{n}_{e}"]).cast("int").alias(f"{n}_{e}") for n in names for e in ("lo", "hi")])
+
+                return F.transform(F.sequence(b[f"{own}_lo"], b[f"{own}_hi"] - 1, F.least(step, length(b, own))), part)
+
+            return parts
+
+        for k in range(len(names) - 1):
+            found = F.flatten(F.transform(found, cut(k)))
+        return found
+
     def _touches(self, b: Column) -> Column:
         test = F.lit(True)
         for a in self.spec.axes:
@@ -171,19 +205,21 @@ class Grid:
         return F.flatten(F.transform(F.sequence(lo, hi - 1), lambda p: self._offsets(k + 1, base + p * stride)))
 
     def lookup(self, chunk: str, variable: str, origin: list[int], length: list[int]) -> DataFrame:
-        """One dense sub-array of one variable of one chunk, by positions only."""
-        rows = self.scan(options=ScanOptions(include_fill=True), predicate=None).where(F.col("chunk") == chunk)
-        test = F.lit(True)
-        names = []
-        for a, o, n in zip(self.spec.axes, origin, length, strict=True):
-            if not a.spans:
-                test &= F.col(a.ix).between(o, o + n - 1)
-                names.append(a.ix)
-        return rows.where(test).select(*names, F.col(variable).alias("value"))
+        """One dense sub-array of one variable of one chunk, by positions only: a box of one
+        chunk's tiles, so nothing else is read."""
+        tiles = self.tiles().where(F.col("chunk") == chunk)
+        if self.spec.keyed:
+            tiles = tiles.where(F.col("chunk_key") == chunk)
+        box = tuple((o, o + n) for o, n in zip(origin, length, strict=True))
+        rows = self.emit(ScanPlan(self.spec, (box,), 1, None, None), ScanOptions(include_fill=True), tiles)
+        return rows.select(*[a.ix for a in self.spec.inner], F.col(variable).alias("value"))
 
 
 def register_grid(spark: SparkSession, name: str, path: str, spans: dict[str, bool], spec: GridSpec | None = None, envelope_dims: list[str] | None = None) -> Grid:
-    """Connects a dataset: infers what it holds, unless told, and registers the row view."""
+    """Connects a dataset: infers what it holds, unless told, and registers the row view.
+
+    Queries on the view alone read whole chunks; ``plans.catalog`` plans any SQL with boxes.
+    """
     grid = Grid(spark, spec or store.infer_grid(spark, name, path, spans))
     rows = grid.rows()
     if envelope_dims:

@@ -12,6 +12,7 @@ from gridlake.operators import boxes as bx
 from gridlake.operators import measures as ms
 from gridlake.operators.cover_df import cover_df, islands
 from gridlake.operators.envelope import envelope, envelope_bounds, envelope_join
+from gridlake.plans.catalog import Catalog
 from gridlake.plans.scan import register_grid
 from gridlake.queries.registry import G3, G4, GE, GP, GU, Context, add, query
 from gridlake.sources.derived import money
@@ -43,6 +44,32 @@ def register_rows(c: Context) -> DataFrame:
     return c.spark.sql("SELECT COUNT(*) AS n, SUM(n_lines) AS lines FROM g3_view")
 
 
+def catalog(c: Context, *names: str) -> Catalog:
+    known = Catalog(c.spark)
+    for n in names:
+        known.register(n, c.grid(n))
+    return known
+
+
+# plain SQL on registered grids: comparisons, OR, a join whose filters reach both sides, a
+# subquery, the same grid twice
+for name, text in {
+    "register_sql": "SELECT chunk, CAST(SUM(n_lines) AS BIGINT) AS n FROM g3 WHERE ship_month > {t}'1997-05-02' AND (qty <= 10 OR disc = 0.1) GROUP BY chunk",
+    "register_join": "SELECT g4.chunk, g4.level, g4.qty, g4.disc, g3.price_avg AS surface, g4.price_avg AS inside FROM g3 JOIN g4 ON g3.ship_month = g4.ship_month AND g3.qty = g4.qty AND g3.disc = g4.disc WHERE g3.ship_month >= {t}'1998-01-01' AND g3.ship_month <= {t}'1998-06-01' AND g3.qty BETWEEN 20 AND 30",
+    "register_subquery": "SELECT chunk, qty, disc, n_lines FROM g3 WHERE qty > 44 AND ship_month IN (SELECT ship_month FROM g4 WHERE level = 0.03 AND qty < 3 AND ship_month < {t}'1993-01-01')",
+    "register_self": "SELECT a.chunk, a.qty, a.disc, b.n_lines FROM g3 a JOIN g3 b ON a.chunk = b.chunk AND a.disc = b.disc AND a.qty = b.qty + 40 WHERE a.qty > 47 AND b.disc NOT IN (0.02, 0.05)",
+}.items():
+    add(name, lambda c, text=text: catalog(c, "g3", "g4").sql(text.replace("{t}", "TIMESTAMP_NTZ ")), f"WITH {G3}, {G4} {text.replace('{t}', 'TIMESTAMP ')}")
+
+
+@query("register_reads", "SELECT * FROM (VALUES ('files', true), ('bytes', true), ('rows', true)) t(metric, fewer)")
+def register_reads(c: Context) -> DataFrame:
+    """Files, bytes and rows that registered SQL reads, against the same without pruning."""
+    known, text = catalog(c, "g3"), "SELECT chunk, price_sum FROM g3 WHERE qty <= 10 AND ship_month > TIMESTAMP_NTZ '1998-01-01'"
+    ours, whole = ms.scan_metrics(known.sql(text)), ms.scan_metrics(known.sql(text, ScanOptions(prune_rows=False, prune_columns=False)))
+    return pairs(c, [(n, ours[k] < whole[k]) for n, k in (("files", "numFiles"), ("bytes", "filesSize"), ("rows", "numOutputRows"))], "metric string, fewer boolean")
+
+
 @query(
     "infer_schema",
     "SELECT * FROM (VALUES ('ship_month', 'timestamp_ntz', 'spanning'), ('qty', 'double', 'axis'), ('disc', 'double', 'axis'), ('n_lines', 'bigint', 'variable'), ('price_sum', 'double', 'variable'), ('price_avg', 'double', 'variable'), ('price_max', 'double', 'variable'), ('tax_avg', 'double', 'variable'), ('n_returned', 'bigint', 'variable')) AS t(name, type, role)",
@@ -89,6 +116,7 @@ add(
     lambda c: c.grid("gv").scan(["vec_id", "comp_ix", "x"], "comp_ix >= 10 AND comp_ix < 15").withColumn("x", F.col("x").cast("double")),
     f"SELECT * FROM ({GV}) WHERE comp_ix >= 10 AND comp_ix < 15",
 )
+add("lookup_rows_read", lambda c: pairs(c, [(ms.scan_metrics(c.grid("g3").lookup("1997-03", "n_lines", [0, 15, 2], [1, 5, 4]))["numFiles"],)], "files long"), "SELECT CAST(1 AS BIGINT) AS files")
 add("lookup_g3", lambda c: c.grid("g3").lookup("1997-03", "n_lines", [0, 15, 2], [1, 5, 4]), f"WITH {G3}, a AS (SELECT q.range AS qty_ix, d.range AS disc_ix FROM range(15, 20) q CROSS JOIN range(2, 6) d) SELECT CAST(a.qty_ix AS INTEGER) AS qty_ix, CAST(a.disc_ix AS INTEGER) AS disc_ix, g3.n_lines AS value FROM a LEFT JOIN g3 ON g3.chunk = '1997-03' AND g3.qty_ix = a.qty_ix AND g3.disc_ix = a.disc_ix")
 
 # --- pruning ------------------------------------------------------------------------
@@ -315,6 +343,17 @@ def selective(c: Context, *more: str) -> DataFrame:
 
 
 add("envelope_bounds", lambda c: envelope_bounds(selective(c), "qty", "disc"), f"WITH {G3} SELECT chunk, MIN(qty) AS qty_lo, MAX(qty) AS qty_hi, MIN(disc) AS disc_lo, MAX(disc) AS disc_hi FROM g3 WHERE {SELECTIVE_SQL} GROUP BY chunk")
+
+
+@query("register_envelope", f"WITH {G3}, {G4} SELECT g4.chunk, g4.level, g4.qty, g4.disc, r.n_lines FROM (SELECT * FROM g3 WHERE {SELECTIVE_SQL}) r JOIN g4 ON r.ship_month = g4.ship_month AND r.qty = g4.qty AND r.disc = g4.disc")
+def register_envelope(c: Context) -> DataFrame:
+    """A small grid of selected cells, registered with its envelope, prunes a registered S."""
+    known, cells = catalog(c, "g4"), c.grid("g3").scan(predicate=SELECTIVE)
+    known.register("r", c.grid("g3"), tuple(ON), cells)
+    cells.select(*ON).distinct().createOrReplaceTempView("gridlake_selected")
+    return known.sql("SELECT g4.chunk, g4.level, g4.qty, g4.disc, r.n_lines FROM r JOIN gridlake_selected USING (ship_month, qty, disc) JOIN g4 USING (ship_month, qty, disc)")
+
+
 add("envelope_noop", lambda c: envelope(c.grid("g3").scan(CELL, SELECTIVE), "qty", "disc"), f"WITH {G3} SELECT {CELLS} FROM g3 WHERE {SELECTIVE_SQL}")
 JOINED = f"WITH {G3}, {G4} SELECT g4.chunk, g4.level, g4.qty, g4.disc, g3.price_avg AS surface, g4.price_avg AS inside FROM (SELECT * FROM g3 WHERE {SELECTIVE_SQL}) g3 {{}} JOIN g4 ON g3.ship_month = g4.ship_month AND g3.qty = g4.qty AND g3.disc = g4.disc"
 SIDE = ["chunk", "level", *ON, "price_avg"]

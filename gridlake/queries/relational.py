@@ -339,7 +339,7 @@ add("st_sliding", lambda c: clock(st.drained(st.sliding(stream(c)), "complete"))
 add("st_session", lambda c: clock(st.drained(st.sessions(stream(c)), "complete")), "WITH f AS (SELECT user_id, ts, CASE WHEN ts < LAG(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events), g AS (SELECT *, SUM(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM f) SELECT user_id, strftime(MIN(ts), '%Y-%m-%d %H:%M:%S') AS start, COUNT(*) AS n FROM g GROUP BY user_id, k")
 add("st_dedup", lambda c: st.drained(st.deduplicated(stream(c))).select("user_id", "event_type"), "SELECT DISTINCT user_id, event_type FROM events")
 add("st_interval_join", lambda c: st.drained(st.interval_join(stream(c), stream(c))), "SELECT a.event_id AS click_id, b.event_id AS purchase_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTE WHERE a.event_type = 'click' AND b.event_type = 'purchase'")
-add("st_state_bounds", lambda c: st.drained(st.state_bounds(stream(c)), "update").groupBy("chunk").agg(F.min("value_lo").alias("value_lo"), F.max("value_hi").alias("value_hi")), "SELECT strftime(ts, '%Y-%m-%d') AS chunk, MIN(value) AS value_lo, MAX(value) AS value_hi FROM events GROUP BY 1")
+add("st_state_bounds", lambda c: st.drained(st.state_bounds(stream(c)), "update", ("chunk",)), "SELECT strftime(ts, '%Y-%m-%d') AS chunk, MIN(value) AS value_lo, MAX(value) AS value_hi FROM events GROUP BY 1")
 
 
 def stream_envelope(c: Context) -> DataFrame:

@@ -22,6 +22,8 @@ QTY = Axis("qty", values=tuple(float(v) for v in range(50, 0, -1)))
 DISC = Axis("disc", values=tuple(i / 100 for i in range(11)))
 LEVEL = Axis("level", values=tuple(i / 100 for i in range(9)))
 MONTH = "date_format({0}, 'yyyy-MM')"
+#: Ids as text in the order of the ids, negative ones included.
+VECTOR_KEY = "lpad(cast(cast({0} as decimal(20,0)) + 9223372036854775808 as string), 20, '0')"
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -118,12 +120,12 @@ def _vectors(spark: SparkSession, sf_dir: str, path: str) -> GridSpec:
     """Embeddings are dense arrays already: a tile is a row of the table."""
     vectors = table(spark, sf_dir, "embeddings").where("vec_id IS NOT NULL AND embedding IS NOT NULL")
     length = vectors.select(F.max(F.size("embedding"))).first()[0] or 0
-    key = F.lpad(F.col("vec_id").cast("string"), 19, "0").alias("chunk_key")
+    key = F.expr(VECTOR_KEY.format("vec_id")).alias("chunk_key")
     zero, one = F.lit(0), F.lit(1)
     tiles = vectors.select(key, F.col("vec_id").cast("string").alias("chunk"), F.array("vec_id").alias("vec_id_values"), zero.alias("o_vec_id"), zero.alias("o_comp"), one.alias("n_vec_id"), F.size("embedding").alias("n_comp"), F.col("embedding").alias("x"))
     headers = vectors.select(key, F.col("vec_id").cast("string").alias("chunk"), F.array("vec_id").alias("vec_id_values"), F.lit([float(i) for i in range(length)]).alias("comp_values"))
     store.write_grid(tiles, headers, path, partition=False)
-    return store.infer_grid(spark, "gv", path, {"vec_id": True}, "lpad(cast({0} as string), 19, '0')")
+    return store.infer_grid(spark, "gv", path, {"vec_id": True}, VECTOR_KEY, keyed=False)
 
 
 def grid_spec(spark: SparkSession, sf_dir: str, name: str) -> GridSpec:

@@ -32,20 +32,24 @@ def events(spark: SparkSession, path: str) -> DataFrame:
     return (reader.option("pathGlobFilter", name).parquet(folder) if single else reader.parquet(path)).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
+def drained(stream: DataFrame, mode: str = "append", keys: tuple[str, ...] = ()) -> DataFrame:
     """Runs a stream over all there is; its output lands in files of the shared folder.
 
-    ``complete`` and ``update`` results come batch by batch; the last state of each batch
-    replaces the one before.
+    A ``complete`` batch replaces the one before.  Of ``update`` batches the last state of
+    each key stays.  A batch that is repeated after a failure replaces its own rows only.
     """
     spark = stream.sparkSession
     root = f"{shared_dir(spark)}/gridlake-stream-{uuid.uuid4().hex}"
     if mode == "append":
         run = stream.writeStream.format("parquet").option("path", f"{root}/out").outputMode("append")
     else:
-        run = stream.writeStream.foreachBatch(lambda rows, k: rows.write.mode("overwrite" if mode == "complete" else "append").parquet(f"{root}/out")).outputMode(mode)
+        run = stream.writeStream.foreachBatch(lambda rows, k: rows.write.mode("overwrite").parquet(f"{root}/out" if mode == "complete" else f"{root}/out/batch_id={k}")).outputMode(mode)
     run.option("checkpointLocation", f"{root}/checkpoint").trigger(availableNow=True).start().awaitTermination()
-    return spark.read.schema(stream.schema).parquet(f"{root}/out")
+    if mode != "update":
+        return spark.read.schema(stream.schema).parquet(f"{root}/out")
+    rest = [c for c in stream.columns if c not in keys]
+    rows = spark.read.option("basePath", f"{root}/out").parquet(f"{root}/out")
+    return rows.groupBy(*keys).agg(F.max_by(F.struct(*rest), "batch_id").alias("last")).select(*[c if c in keys else f"last.{c}" for c in stream.columns])
 
 
 def append_chunks(spark: SparkSession, path: str, root: str) -> DataFrame:
