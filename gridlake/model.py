@@ -87,8 +87,9 @@ class ScanOptions:
     residual: bool = True
     include_fill: bool = False
     max_clauses: int = 4096
-    #: Cells of one lookup at most (the fastest axis stays whole); 0 leaves lookups uncut.
-    lookup_cells: int = 1 << 18
+    #: Cells of one lookup at most (the fastest axis stays whole); 0 leaves lookups uncut, as
+    #: tiles bound them already.
+    lookup_cells: int = 0
     #: More boxes than this become a broadcast table instead of literals in the plan.
     inline_boxes: int = 64
 
