@@ -329,8 +329,7 @@ def verified(s: Scratch, rows: DataFrame, pairs: DataFrame, threshold: int, name
     members = pairs.join(sizes, "a").select(F.col("a").alias("lead"), F.pmod(F.xxhash64("b"), F.col("salts")).alias("salt"), F.col("b").alias("rid"))
     leads = sizes.select(F.col("a").alias("lead"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1)).alias("salt"), F.col("a").alias("rid"))
     routes = s.save(members.union(leads), f"{name}-routes")
-    ids = routes.select("rid").distinct()
-    wanted = IdFilter.of(ids, "rid", ids.count())
+    wanted = IdFilter.of(routes, "rid", routes.agg(F.approx_count_distinct("rid")).first()[0])
 
     def chosen(batches):
         for batch in batches:

@@ -436,8 +436,8 @@ def repeated_spans(s: Scratch, docs: DataFrame) -> tuple[DataFrame, DataFrame, D
     s.drop("scanned")
     asking = found.where("asks")
     n = asking.count()
-    ids = asking.select("rid").distinct()
-    windows = _windows(found, rows, IdFilter.of(ids, "rid", ids.count()), max(1, -(-n * (2 * LENGTH - GRAM) // SHARD_BYTES)))
+    ids = asking.agg(F.approx_count_distinct("rid")).first()[0]
+    windows = _windows(found, rows, IdFilter.of(asking, "rid", ids), max(1, -(-n * (2 * LENGTH - GRAM) // SHARD_BYTES)))
     marked = _shard_spans(windows)
     whole = found.where("full").select("rid", F.greatest(F.lit(0).cast("long"), F.col("pos") - (LENGTH - GRAM)).alias("start"), (F.col("last") + LENGTH).alias("stop"))
     unique = table.where("NOT copied").select("rid")
