@@ -10,13 +10,16 @@
 
 from __future__ import annotations
 
+import ctypes
+import functools
+import inspect
 import itertools
 import math
 import os
 import tempfile
 import uuid
 import zipfile
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -30,7 +33,38 @@ FILTER_TASKS = 512
 #: A row key that earlier steps have put beside the columns of the documents.
 RID = "__gridlake_rid"
 #: Text bytes that a kernel works on at once.
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 18
+
+
+def spare() -> None:
+    """Gives freed memory back, which a Python worker would hold while it waits for tasks."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
+def lean(run: Callable) -> Callable:
+    """A kernel over batches, or over the table of a group, that holds no freed memory afterwards."""
+    if inspect.isgeneratorfunction(run):
+
+        @functools.wraps(run)
+        def kernel(batches):
+            try:
+                yield from run(batches)
+            finally:
+                spare()
+
+    else:
+
+        @functools.wraps(run)
+        def kernel(table):
+            try:
+                return run(table)
+            finally:
+                spare()
+
+    return kernel
 
 
 def ship(spark: SparkSession) -> None:
@@ -193,6 +227,7 @@ class IdFilter:
         size = 1 << log2 >> 3
         slices = max(1, size >> 17)
 
+        @lean
         def build(batches):
             bits = np.zeros(size, np.uint8)
             for b in batches:
@@ -202,6 +237,7 @@ class IdFilter:
             for k, part in enumerate(np.split(bits, slices)):
                 yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([part.tobytes()], pa.binary())], ["slice", "bits"])
 
+        @lean
         def together(t: pa.Table) -> pa.Table:
             total = np.zeros(size // slices, np.uint8)
             for x in t.column("bits").to_pylist():

@@ -35,7 +35,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gridlake.llm.common import IdFilter, Scratch, components, doc_chunks, keyed, text_spans
+from gridlake.llm.common import IdFilter, Scratch, components, doc_chunks, keyed, lean, text_spans
 from gridlake.llm.textkernels import Words, plain_texts, shingle_hashes, similar, word_hashes
 
 #: Similarity in hundredths.
@@ -102,6 +102,7 @@ def summaries(rows: DataFrame, buckets: int) -> DataFrame:
     """For each document its size, digests of its words and its set, and keys; for each task
     its counts of shingles."""
 
+    @lean
     def run(batches):
         shift = np.uint64(64 - COUNT_BITS)
         names = ["rid", "doc_id", "n", "digest", "set", "keys", "bucket", "values", "counts"]
@@ -128,11 +129,11 @@ def summaries(rows: DataFrame, buckets: int) -> DataFrame:
                     seen.add(sets[-1])
                     held.append(own >> shift)
                     size += len(own)
+                if size >= COUNT_CHUNK:
+                    yield flush()
+                    held, size = [], 0
             none = len(n)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, t) for c, t in zip((n, digests, sets, keys), types[2:6], strict=True)), *(pa.nulls(none, t) for t in types[6:])], names)
-            if size >= COUNT_CHUNK:
-                yield flush()
-                held, size = [], 0
         if held:
             yield flush()
 
@@ -165,6 +166,7 @@ class Order:
 def shingle_order(s: Scratch, blobs: DataFrame, shared: int, frequent: int, most: int) -> Order:
     """Counts every truncated hash over all sets, task by task and then bucket by bucket."""
 
+    @lean
     def total(t: pa.Table) -> pa.Table:
         parts = [(unpressed(v), np.frombuffer(zstandard.decompress(c), np.uint32)) for v, c in zip(t.column("values").to_pylist(), t.column("counts").to_pylist(), strict=True)]
         values = np.concatenate([v for v, _ in parts])
@@ -191,6 +193,7 @@ def prefix(own: np.ndarray, order: Order, threshold: int) -> np.ndarray:
 def posting_lists(rows: DataFrame, classes: IdFilter, arrange: Order, buckets: int, threshold: int) -> DataFrame:
     """``key, rid, n, pos`` of all index lists with two sets or more."""
 
+    @lean
     def emit(batches):
         names = ["bucket", "keys", "rids", "ns", "poss"]
 
@@ -222,6 +225,7 @@ def posting_lists(rows: DataFrame, classes: IdFilter, arrange: Order, buckets: i
         if held:
             yield flush(held)
 
+    @lean
     def lists(t: pa.Table) -> pa.Table:
         columns = {"key": np.concatenate([unpressed(b) for b in t.column("keys").to_pylist()])}
         for name, blob, kind in (("rid", "rids", np.int64), ("n", "ns", np.int32), ("pos", "poss", np.int32)):
@@ -282,6 +286,7 @@ def candidates(lists: DataFrame, threshold: int, tile: int = TILE_ROWS) -> DataF
     parted = parted.select("key", F.least("part", "other").alias("one"), F.greatest("part", "other").alias("two"), "rid", "n", "pos", "comp", "part")
     dealt = parted.repartition("key", "one", "two").sortWithinPartitions("key", "one", "two", "n", "pos", "rid")
 
+    @lean
     def run(batches):
         def pairs(cols):
             key, one, two = cols[:3]
@@ -331,6 +336,7 @@ def verified(s: Scratch, rows: DataFrame, pairs: DataFrame, threshold: int, name
     routes = s.save(members.union(leads), f"{name}-routes")
     wanted = IdFilter.of(routes, "rid", routes.agg(F.approx_count_distinct("rid")).first()[0])
 
+    @lean
     def chosen(batches):
         for batch in batches:
             yield batch.filter(pa.array(wanted.test(batch.column(0).to_numpy(zero_copy_only=False))))
@@ -338,6 +344,7 @@ def verified(s: Scratch, rows: DataFrame, pairs: DataFrame, threshold: int, name
     sent = routes.join(rows.select("rid", F.col("text").cast("binary").alias("body")).mapInArrow(chosen, "rid long, body binary"), "rid")
     dealt = sent.withColumn("member", F.col("rid") != F.col("lead")).repartition("lead", "salt").sortWithinPartitions("lead", "salt", "member")
 
+    @lean
     def compare(batches):
         lead, own = None, None
         for batch in batches:

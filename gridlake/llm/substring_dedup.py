@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gridlake.llm.common import CHUNK_BYTES, IdFilter, Scratch, doc_chunks, keyed, mixed, text_spans
+from gridlake.llm.common import CHUNK_BYTES, IdFilter, Scratch, doc_chunks, keyed, lean, mixed, text_spans
 from gridlake.llm.textkernels import _VALUE, _tables
 
 LENGTH = 200
@@ -293,6 +293,7 @@ _BLOB = "bucket long, anchors binary, windows binary, rids binary, positions bin
 def _scan(rows: DataFrame, buckets: int) -> DataFrame:
     """Document rows, and blobs of anchors by bucket; equal windows of a text are one entry."""
 
+    @lean
     def run(batches):
         names = [x.split()[0] for x in f"{_DOC}, {_BLOB}".split(", ")]
         types = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), *[pa.binary()] * 6]
@@ -346,6 +347,7 @@ def _classified(blobs: DataFrame) -> DataFrame:
     window has the same anchor; of equal windows one asks.
     """
 
+    @lean
     def run(t: pa.Table) -> pa.Table:
         kinds = {"anchors": np.uint64, "windows": np.uint64, "rids": np.int64, "positions": np.int64, "counts": np.int64, "ends": np.int64}
         h, w, r, p, c, e = (np.concatenate([np.frombuffer(b, k) for b in t.column(n).to_pylist()]) for n, k in kinds.items())
@@ -371,6 +373,7 @@ def _classified(blobs: DataFrame) -> DataFrame:
 
 
 def _texts(rows: DataFrame, wanted: IdFilter) -> DataFrame:
+    @lean
     def run(batches):
         for batch in batches:
             yield batch.filter(pa.array(wanted.test(batch.column(0).to_numpy(zero_copy_only=False))))
@@ -383,6 +386,7 @@ def _windows(found: DataFrame, rows: DataFrame, wanted: IdFilter, shards: int) -
     asked = found.where("asks").groupBy("rid").agg(F.collect_list(F.struct("anchor", "pos", "full")).alias("asked"))
     both = asked.join(_texts(rows, wanted), "rid").select("rid", "asked", F.col("text").cast("binary").alias("text"))
 
+    @lean
     def run(batches):
         for batch in batches:
             out = []
@@ -408,6 +412,7 @@ def _window_batch(out: list[tuple]) -> pa.RecordBatch:
 def _shard_spans(windows: DataFrame) -> DataFrame:
     """``rid, start, stop``: what the suffix arrays of each shard mark in partly repeated windows."""
 
+    @lean
     def run(t: pa.Table) -> pa.Table:
         t = t.combine_chunks()
         rid, start, full = (t.column(c).to_numpy(zero_copy_only=False) for c in ("rid", "start", "full"))
@@ -461,6 +466,7 @@ def dedup(s: Scratch, docs: DataFrame, texts: bool = False) -> DataFrame:
     rows, table, spans = repeated_spans(s, docs)
     wanted = IdFilter.of(spans, "rid", spans.count())
 
+    @lean
     def cut(batches):
         for batch in batches:
             removed, runs, shas, kept = [], [], [], []
