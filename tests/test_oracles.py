@@ -74,3 +74,13 @@ def test_event_users_are_kept(spark):
     want = duckdb.execute(f"SELECT COUNT(DISTINCT (date_trunc('hour', ts), user_id, event_type)), COUNT(DISTINCT user_id) FROM '{more}/events.parquet'").fetchone()
     events = Grid(spark, grid_spec(spark, more, "ge")).rows()
     assert (events.count(), events.select("user").distinct().count()) == want
+
+
+@pytest.mark.parametrize("name", ["axis_span_asc", "axis_span_desc", "axis_spans_in"])
+def test_axes_and_boxes_come_from_the_table(spark, duck, name):
+    got = gq.queries()[name](spark, SF)
+    assert [f for f in got.inputFiles() if f.endswith(("lineitem.parquet", "customer.parquet"))]
+    want = duck.execute(gq.oracle_sql()[name])
+    columns = [d[0] for d in want.description]
+    assert got.columns == columns
+    assert plain(got.collect(), columns) == plain(want.fetchall(), columns) != []
