@@ -9,6 +9,7 @@ import gridlake.queries as gq
 from gridlake.operators import baselines as bl
 from gridlake.operators.measures import diff
 from gridlake.plans.scan import Grid
+from gridlake.queries import methods
 from gridlake.queries.methods import CELL, OVERLAPPING, Q1, Q2
 from gridlake.sources.derived import grid_spec
 
@@ -76,7 +77,7 @@ def test_event_users_are_kept(spark):
     assert (events.count(), events.select("user").distinct().count()) == want
 
 
-@pytest.mark.parametrize("name", ["axis_span_asc", "axis_span_desc", "axis_spans_in"])
+@pytest.mark.parametrize("name", ["axis_span_asc", "axis_span_desc", "axis_spans_in", *[f"cover_{w}{k}" for w in ("", "grid_") for k in ("aligned", "misaligned", "diagonal", "centred")]])
 def test_axes_and_boxes_come_from_the_table(spark, duck, name):
     got = gq.queries()[name](spark, SF)
     assert [f for f in got.inputFiles() if f.endswith(("lineitem.parquet", "customer.parquet"))]
@@ -84,3 +85,8 @@ def test_axes_and_boxes_come_from_the_table(spark, duck, name):
     columns = [d[0] for d in want.description]
     assert got.columns == columns
     assert plain(got.collect(), columns) == plain(want.fetchall(), columns) != []
+
+
+def test_bench_boxes_come_from_the_table():
+    rows = [methods.cover_times("aligned", 2, (8,), shifts) for shifts in ((0,), (0, 3, 1))]
+    assert rows[0][0][6] != rows[1][0][6] and rows[1][0][6] == rows[1][1][6]
