@@ -7,6 +7,7 @@ from itertools import product
 import pytest
 
 from gridlake.operators import boxes as bx
+from gridlake.operators.cover_df import cover_df
 from gridlake.queries.methods import cover_times
 
 EXAMPLE = [((361, 721), (360, 1440)), ((0, 360), (360, 1440)), ((0, 721), (360, 652)), ((0, 721), (656, 1440))]
@@ -62,6 +63,17 @@ def test_invariants():
             assert bx.cover_grid(boxes).stats.pieces <= n * (2 * n - 1) ** d
 
 
+@pytest.mark.parametrize("d", [1, 2, 3])
+def test_cover_of_data(spark, d):
+    """By group, with empty and turned boxes; the fastest of several axes is not cut."""
+    rng, axes = random.Random(d), [f"a{k}" for k in range(d)]
+    groups = {g: random_boxes(rng, d, 12) + [((0, 9),) * (d - 1) + (end,) for end in ((3, 3), (5, 2))] for g in range(6)}
+    rows = [(g, *(x for side in b for x in side)) for g, boxes in groups.items() for b in boxes]
+    got = cover_df(spark.createDataFrame(rows, "grp int, " + ", ".join(f"{a}_lo int, {a}_hi int" for a in axes)), axes, ["grp"])
+    assert sorted(map(tuple, got.collect())) == sorted((g, *(x for side in b for x in side)) for g, boxes in groups.items() for b in bx.cover_sweep(boxes).boxes)
+    assert (f"explode(array({axes[-1]}_lo" in got._jdf.queryExecution().optimizedPlan().toString()) == (d == 1)
+
+
 def test_sweep_keeps_less():
     assert bx.cover_sweep(bx.diagonal(16, 2)).stats.peak_live < bx.cover_grid(bx.diagonal(16, 2)).stats.peak_live
 
