@@ -7,10 +7,12 @@ from pyspark.sql import functions as F
 import gridlake.queries as gq
 
 from gridlake.operators import baselines as bl
+from gridlake.operators import boxes as bx
 from gridlake.operators.measures import diff
 from gridlake.plans.scan import Grid
 from gridlake.queries import methods
 from gridlake.queries.methods import CELL, OVERLAPPING, Q1, Q2
+from gridlake.queries.registry import Context
 from gridlake.sources.derived import grid_spec
 
 SF = "/root/testdata/sf0.001"
@@ -90,3 +92,12 @@ def test_axes_and_boxes_come_from_the_table(spark, duck, name):
 def test_bench_boxes_come_from_the_table():
     rows = [methods.cover_times("aligned", 2, (8,), shifts) for shifts in ((0,), (0, 3, 1))]
     assert rows[0][0][6] != rows[1][0][6] and rows[1][0][6] == rows[1][1][6]
+
+
+def test_bench_runs_in_tasks(spark):
+    """The same rows as on the driver but for the seconds, from a plan that reads the table."""
+    got = methods.bench_times(Context(spark, SF), (2, 8))
+    assert [f for f in got.inputFiles() if f.endswith("customer.parquet")]
+    shifts = [v for (v,) in duckdb.execute(f"SELECT CAST(floor(abs(c_acctbal)) AS BIGINT) % 4 FROM '{SF}/customer.parquet' ORDER BY c_custkey").fetchall()]
+    want = [r for kind in bx.WORKLOADS for d in (1, 2, 3, 4) for r in methods.cover_times(kind, d, (2, 8), shifts)]
+    assert sorted((*r[:4], *r[5:]) for r in got.collect()) == sorted((*r[:4], *r[5:]) for r in want)
